@@ -34,8 +34,9 @@ def cut(n: int, capacity: int) -> list[tuple[int, int]]:
     return [(0, first), *((s, capacity) for s in range(first, n, capacity))]
 
 
-def _level(items: list[tuple[int, int]], capacity: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Sum-of-squares over (length, count), longest first: lengths, bins and offsets of the items; final gap of each bin."""
+def _level(items: list[tuple[int, int]], capacity: int, squares: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Sum-of-squares (or else best fit) over (length, count), longest first: lengths, bins and offsets of the items;
+    final gap of each bin."""
     open_by_gap = np.zeros(capacity + 1)
     open_by_gap[0] = -0.5  # a bin filled up leaves the sum: this makes the same formula hold
     bins_at: list[list[int]] = [[] for _ in range(capacity + 1)]
@@ -44,7 +45,10 @@ def _level(items: list[tuple[int, int]], capacity: int) -> tuple[np.ndarray, np.
         here, left = open_by_gap[length:capacity], open_by_gap[: capacity - length]
         for _ in range(count):
             gap = -1
-            if here.size:
+            if here.size and not squares:
+                at = int((here > 0).argmax())
+                gap = length + at if here[at] > 0 else -1
+            elif here.size:
                 change = np.where(here > 0, left - here, np.inf)
                 at = int(change.argmin())
                 if 2 * change[at] + 2 <= 2 * open_by_gap[capacity - length] + 1:
@@ -83,10 +87,21 @@ def packing_plan(histogram: dict[int, int], capacity: int, base: int = BASE) ->
         if not items:
             continue
         lengths, bins, offsets, gaps = _level(items, capacity)
-        keep = gaps <= (capacity if j == 0 else capacity // 100)
+        keep = gaps <= (0 if j == 0 else capacity // 100)
         chosen = keep[bins]
         number = np.cumsum(keep) - 1
-        lengths, offsets, bins = lengths[chosen], offsets[chosen], number[bins[chosen]]
+        loose = [(int(n), int(c)) for n, c in zip(*np.unique(lengths[~chosen], return_counts=True), strict=True)][::-1]
+        n_loose = int((~keep).sum())
+        kept = lengths[chosen], number[bins[chosen]], offsets[chosen]
+        if j == 0 and loose:
+            again = _level(loose, capacity, squares=False)
+            if len(again[3]) < n_loose:  # best fit mends what the last open bins waste
+                bins = np.concatenate([kept[1], again[1] + keep.sum()])
+                lengths, offsets, keep = np.concatenate([kept[0], again[0]]), np.concatenate([kept[2], again[2]]), np.ones(int(keep.sum()) + len(again[3]), bool)
+            else:
+                keep = np.ones(len(gaps), bool)
+        else:
+            lengths, bins, offsets = kept
         for n, c in zip(*np.unique(lengths, return_counts=True), strict=True):
             rest[int(n)] -= int(c) * times
         slots.append(pd.DataFrame({"length": lengths, "sequence_id": next_seq + bins * times, "offset": offsets, "times": times}))
