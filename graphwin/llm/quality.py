@@ -114,11 +114,12 @@ def keep_good(docs: DataFrame, host_col: str = "source", text_col: str = "text",
     """The documents that both their own rules and their host pass, with the columns of docs.
 
     Texts that fail are not written: of them only the host and the failure go into the host's rate."""
-    flat = measured(docs, text_col).withColumn(text_col, F.when(~F.col("base_failed"), F.col(text_col)))
-    stored = materialize(flat.select(*docs.columns, "base_failed"), "quality")
-    hosts = host_verdicts(stored, host_col, rule).where("host_rejected").select("_host")
+    rows = docs.select(F.struct(*docs.columns).alias("_doc"), F.col(host_col).alias("_host_in"), F.col(text_col).cast("string").alias("_text"))
+    flat = measured(rows, "_text").select("_host_in", "base_failed", F.when(~F.col("base_failed"), F.col("_doc")).alias("_doc"))
+    stored = materialize(flat, "quality")
+    hosts = host_verdicts(stored, "_host_in", rule).where("host_rejected").select("_host")
     passed = stored.where(~F.col("base_failed"))
-    return passed.join(hosts, passed[host_col].eqNullSafe(hosts["_host"]), "left_anti").select(*docs.columns)
+    return passed.join(hosts, passed["_host_in"].eqNullSafe(hosts["_host"]), "left_anti").select("_doc.*")
 
 
 ORACLE = r"""

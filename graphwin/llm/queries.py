@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphwin.llm import chat, language, packing, quality, sharding, tokens
+from graphwin.llm import chat, decontaminate, language, licenses, packing, quality, sharding, tokens
 from graphwin.session import ship
 
 CAPACITY, SHARDS = 2048, 16
@@ -47,5 +47,14 @@ def op8_offset_masked_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.digests(chat.format_conversations(rows.unionByName(hostile)))
 
 
-QUERIES = {f.__name__: f for f in (op1_family_then_pairs_language, op2_sum_of_squares_packing, op5_weighted_tree_sharding, op6_token_length_histogram, op7_host_shrunk_quality, op8_offset_masked_chat)}
-ORACLES: dict[str, str] = {"op7_host_shrunk_quality": quality.ORACLE}
+def op9_prefix_filtered_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, items = _read(spark, sf_dir, "documents"), _read(spark, sf_dir, "benchmark")
+    return decontaminate.hits(docs.select("doc_id", "text"), items).drop("_row")
+
+
+def op10_rare_token_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licenses.scan(_read(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
+QUERIES = {f.__name__: f for f in (op1_family_then_pairs_language, op2_sum_of_squares_packing, op5_weighted_tree_sharding, op6_token_length_histogram, op7_host_shrunk_quality, op8_offset_masked_chat, op9_prefix_filtered_decontamination, op10_rare_token_licenses)}
+ORACLES: dict[str, str] = {"op7_host_shrunk_quality": quality.ORACLE, "op9_prefix_filtered_decontamination": decontaminate.ORACLE, "op10_rare_token_licenses": licenses.oracle()}
