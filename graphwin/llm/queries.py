@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from graphwin.llm import chat, decontaminate, language, licenses, neardup, packing, quality, sharding, tokens
+from graphwin.llm import chat, decontaminate, language, licenses, neardup, packing, quality, sharding, tokens, wrapper
 from graphwin.session import ship
 
 CAPACITY, SHARDS = 2048, 16
@@ -60,5 +60,9 @@ def op3_bbit_minhash_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.near_duplicates(_read(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
-QUERIES = {f.__name__: f for f in (op1_family_then_pairs_language, op2_sum_of_squares_packing, op3_bbit_minhash_neardup, op5_weighted_tree_sharding, op6_token_length_histogram, op7_host_shrunk_quality, op8_offset_masked_chat, op9_prefix_filtered_decontamination, op10_rare_token_licenses)}
+def op4_wrapper_induction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return wrapper.extract(_read(spark, sf_dir, "pages"))
+
+
+QUERIES = {f.__name__: f for f in (op1_family_then_pairs_language, op2_sum_of_squares_packing, op3_bbit_minhash_neardup, op4_wrapper_induction, op5_weighted_tree_sharding, op6_token_length_histogram, op7_host_shrunk_quality, op8_offset_masked_chat, op9_prefix_filtered_decontamination, op10_rare_token_licenses)}
 ORACLES: dict[str, str] = {"op7_host_shrunk_quality": quality.ORACLE, "op9_prefix_filtered_decontamination": decontaminate.ORACLE, "op10_rare_token_licenses": licenses.oracle()}
