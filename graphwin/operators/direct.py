@@ -15,8 +15,9 @@ from graphwin.operators.reach import window_pairs
 def aggregate_pairs(graph: PropertyGraph, pairs: DataFrame, aggs: list[Agg], owners: DataFrame | None = None) -> DataFrame:
     """(id, [category,] values...) from window pairs; owners whose window is empty get the value of nothing."""
     by = aggs[0].by
-    read = list(dict.fromkeys(c for a in aggs for c in a.columns)) + ["*"] * any(a.where for a in aggs)
-    attrs = graph.vertices.withColumnRenamed("id", "member") if "*" in read else graph.vertices.select(F.col("id").alias("member"), *[c for c in read if c != "id"], *([F.col("id")] if "id" in read else []))
+    read = list(dict.fromkeys(c for a in aggs for c in a.columns))
+    # a condition may read any attribute; Catalyst prunes what it doesn't
+    attrs = graph.vertices.select(F.col("id").alias("member"), *(["*"] if any(a.where for a in aggs) else read))
     keys = ["owner"] + [by] * bool(by)
     joined = pairs.join(attrs, "member")
     parts = [a for a in aggs if not a.holistic]

@@ -20,12 +20,12 @@ def khop_pairs(graph: PropertyGraph, w: KHop, owners: DataFrame | None = None) -
     if w.k == 0:
         pairs = own.select("owner", F.col("owner").alias("member"))
     elif w.k == 1 and owners is None:  # adjacency is the window
-        pairs = graph.arcs_with_self(w.direction).toDF("owner", "member")
+        pairs = graph.arcs_with_self(w.direction).toDF("owner", "member").distinct()
     else:
         steps = graph.arcs_with_self(w.direction)
         if w.k > 1:
             steps = materialize(steps, "arcs")
-        pairs = own.join(steps, own["owner"] == steps["src"]).select("owner", F.col("dst").alias("member"))
+        pairs = own.join(steps, own["owner"] == steps["src"]).select("owner", F.col("dst").alias("member")).distinct()
         for i in range(1, w.k):
             pairs = pairs.join(steps, pairs["member"] == steps["src"]).select("owner", F.col("dst").alias("member")).distinct()
             if i % CHAIN == 0 and i + 1 < w.k:
