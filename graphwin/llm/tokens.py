@@ -17,6 +17,8 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
+from graphwin.session import materialize
+
 SPECIAL = "<|endoftext|>"
 CACHE_ENTRIES = 400_000
 #: Rows handed to Python at once: whole texts may be long, so few of them.
@@ -121,7 +123,7 @@ def with_token_count(docs: DataFrame, text_col: str = "text", out: str = "n_toke
     return docs.mapInArrow(run, T.StructType([*docs.schema.fields, T.StructField(out, T.LongType())]))
 
 
-def length_histogram(lengths: DataFrame, col: str = "n_tokens", block: int = 4096) -> DataFrame:
+def length_histogram(lengths: DataFrame, col: str = "n_tokens", block: int = 256) -> DataFrame:
     """Exact histogram of lengths with prefix and suffix sums.
 
     One row per length that occurs: n_tokens, n_docs, docs_at_least, tokens_at_least (sums over lengths >= it),
@@ -129,7 +131,8 @@ def length_histogram(lengths: DataFrame, col: str = "n_tokens", block: int = 409
     limit_to (the largest context limit for which docs_at_least, less one row, stays valid: the next length, or null).
     Sums run over blocks of lengths, then over the few block totals: no task holds all lengths. Empty input: no rows.
     """
-    hist = lengths.groupBy(F.col(col).cast("long").alias("n_tokens")).agg(F.count("*").alias("n_docs")).withColumn("_b", F.floor(F.col("n_tokens") / block))
+    hist = materialize(lengths.groupBy(F.col(col).cast("long").alias("n_tokens")).agg(F.count("*").alias("n_docs")), "lengths")  # read twice
+    hist = hist.withColumn("_b", F.floor(F.col("n_tokens") / block))
     blocks = hist.groupBy("_b").agg(F.sum("n_docs").alias("_d"), F.sum(F.col("n_docs") * F.col("n_tokens")).alias("_t"), F.min("n_tokens").alias("_first"))
     whole = Window.orderBy(F.desc("_b")).rowsBetween(Window.unboundedPreceding, -1)
     everything = Window.orderBy(F.desc("_b")).rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
