@@ -1,15 +1,18 @@
 """Main text of web pages by wrapper induction.
 
-Pages of one host come from few layouts. Each page's markup becomes a small tree (runs of equal sibling leaves are one
-node, as in a repeated record), and a host's pages are aligned, by simple tree matching, with a few reference pages of
-the host. Matched nodes with equal text on pages whose main text differs are template; what varies fills the slots.
+Pages of one host come from few layouts. A few reference pages of each host are parsed into small trees (runs of equal
+sibling leaves are one node, as in a repeated record) and aligned with each other by simple tree matching. Matched nodes
+with equal text on enough pages are template; the rest varies. The wrapper of a host is the path down to the slot that
+holds the varying text, with the template's texts; each page of the host is then read through its wrapper: the blocks
+under the slot are its content.
 
 What the markup itself names (navigation, headers, footers, sidebars, notices, adverts, forms, scripts, comments) is left
-out on every page, so a host with one page is served too. Nodes inside <article> or <main> are content slots and never
-become template. References are at most `REFERENCES` pages of a host, those with the least hash of their url, found by a
-map-side combined aggregate, so no host is gathered in one task.
+out before alignment. <article> and <main> are slots by themselves: descent stops there, and a page whose article the
+wrapper's slot doesn't cover, or that doesn't have the slot, is read by its own article or, without one, whole.
 
-Null html gives an empty text; a page without a usable host is read without references; repeated pages are read each.
+References are at most `REFERENCES` pages of a host, those with the least hash, found by a map-side combined aggregate,
+so no host is gathered in one task. Null html gives an empty text; a host with one page, or none, has no wrapper;
+repeated pages are read each.
 """
 
 from __future__ import annotations
@@ -26,6 +29,10 @@ from graphwin.session import materialize
 
 REFERENCES = 4
 MIN_VOTES = 2
+#: A child that holds this share of the varying text is descended into.
+SLOT_SHARE = 0.8
+#: Wrappers (a path and a few lines each) are broadcast for up to this many hosts, shuffled beyond.
+BROADCAST_HOSTS = 100_000
 # HTML element classes.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = ("script", "style", "textarea", "title", "noscript", "template", "svg", "math", "iframe", "object", "canvas", "audio", "video")
@@ -197,68 +204,94 @@ def match(a: list, b: list, pairs: list | None = None) -> int:
     return best[m][n] + 1
 
 
-def template_texts(page: list, references: list[list], main: str, mains: list[str]) -> set[str]:
-    """Texts of the page's nodes that stand, matched and equal, on enough references with another main text."""
-    votes: dict[int, int] = {}
-    nodes: dict[int, list] = {}
-    usable = [r for r, m in zip(references, mains, strict=True) if m != main]
-    for r in usable:
-        pairs: list = []
-        match(page, r, pairs)
-        for x, y in pairs:
-            if x[2] and x[2] == y[2]:
-                votes[id(x)] = votes.get(id(x), 0) + 1
-                nodes[id(x)] = x
-    need = max(MIN_VOTES, (len(usable) + 1) // 2)
-    return {line for k, v in votes.items() if v >= need for line in nodes[k][2].split("\n")}
+def constant_texts(shapes: list[list], mains: list[str]) -> set[str]:
+    """Lines of nodes that stand, matched and equal, on at least MIN_VOTES + 1 pages, each with a main text of its own."""
+    pages: dict[str, set[int]] = {}
+    for i in range(len(shapes)):
+        for j in range(i):
+            if mains[i] == mains[j]:
+                continue  # copies of one page agree everywhere
+            pairs: list = []
+            match(shapes[i], shapes[j], pairs)
+            for x, y in pairs:
+                if x[2] and x[2] == y[2]:
+                    for line in x[2].split("\n"):
+                        pages.setdefault(line, set()).update((i, j))
+    need = max(MIN_VOTES + 1, (len(set(mains)) + 1) // 2)
+    return {line for line, on in pages.items() if len(on) >= need}
+
+
+def slot_path(found: list[tuple[str, str, bool, Node]], constant: set[str]) -> str:
+    """The path down to the node that holds the varying text: a child is entered as long as it holds most of it."""
+    varying = [(path, len(text)) for path, text, inside, _ in found if inside or text not in constant]
+    total, at = sum(n for _, n in varying), ""
+    while total and at.rsplit("/", 1)[-1] not in ("article", "main"):
+        share: dict[str, int] = {}
+        for path, n in varying:
+            if path.startswith(at + "/"):
+                child = path[len(at) + 1 :].split("/", 1)[0]
+                if child not in ("p", "li", "td", "blockquote") and not re.fullmatch("h[1-6]", child):
+                    share[child] = share.get(child, 0) + n
+        best = max(share, key=lambda c: share[c], default=None)
+        if best is None or share[best] < SLOT_SHARE * total:
+            break
+        at = f"{at}/{best}"
+    return at
+
 
+def induce(pages: list[str]) -> tuple[str, list[str]] | None:
+    """A host's wrapper: the path of its content slot and the template's texts; None without two unlike pages."""
+    found = [f for f in (blocks(parse(p)) for p in pages) if f]
+    mains = [max((f[1] for f in x), key=len) for x in found]
+    if len(set(mains)) < 2:
+        return None
+    constant = constant_texts([shape(f) for f in found], mains)
+    paths = [slot_path(f, constant) for f in found]
+    return max(sorted(set(paths)), key=paths.count), sorted(constant)
 
-def main_text(markup: str | None, references: list[str] | None = None, _parsed: dict | None = None) -> str:
+
+def main_text(markup: str | None, wrapper: tuple[str, list[str]] | None = None) -> str:
     """The page's content blocks, joined by newlines."""
-    if not markup:
-        return ""
-    found = blocks(parse(markup))
-    slots = [f for f in found if f[2]]
-    if slots:
-        return "\n".join(f[1] for f in slots)
-    if references and found:
-        shapes, mains = [], []
-        for r in references:
-            if _parsed is None or r not in _parsed:
-                theirs = blocks(parse(r))
-                entry = (shape(theirs), max((f[1] for f in theirs), key=len, default=""))
-                if _parsed is not None:
-                    if len(_parsed) > 64:
-                        _parsed.clear()
-                    _parsed[r] = entry
-            else:
-                entry = _parsed[r]
-            shapes.append(entry[0])
-            mains.append(entry[1])
-        constant = template_texts(shape(found), shapes, max((f[1] for f in found), key=len), mains)
-        found = [f for f in found if f[1] not in constant]
-    return "\n".join(f[1] for f in found)
+    found = blocks(parse(markup)) if markup else []
+    articles = [f for f in found if f[2]]
+    if wrapper:
+        path, constant = wrapper
+        template = set(constant)
+        slot = [f for f in found if (f[0] == path or f[0].startswith(path + "/")) and (f[2] or f[1] not in template)]
+        if slot and all(any(f is g for g in slot) for f in articles):
+            return "\n".join(f[1] for f in (articles or slot))
+        found = [f for f in found if f[1] not in template]
+    return "\n".join(f[1] for f in (articles or found))
+
+
+def induce_wrappers(pages: DataFrame, references: int = REFERENCES) -> DataFrame:
+    """(_host, slot, template) of rows (host, url, page_id, html); written table."""
+    known = pages.where((F.col("host") != "") & F.col("html").isNotNull())
+    least = known.groupBy("host", F.pmod(F.xxhash64("url"), F.lit(references)).alias("_class")).agg(F.min(F.struct(F.xxhash64("url", "page_id").alias("h"), F.col("html"))).alias("m"))
+    # at most `references` pages of a host
+    refs = least.groupBy(F.col("host").alias("_host")).agg(F.array_sort(F.collect_list(F.col("m.html"))).alias("refs")).where(F.size("refs") > 1)
+
+    def run(batches):
+        for b in batches:
+            out = [(h, *w) for h, refs in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True) if (w := induce(refs))]
+            cols = list(zip(*out, strict=True)) or [[], [], []]
+            yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.string()), pa.array(cols[1], pa.string()), pa.array(cols[2], pa.list_(pa.string()))], names=["_host", "slot", "template"])
+
+    return materialize(refs.mapInArrow(run, "_host string, slot string, template array<string>"), "wrappers")
 
 
 def extract(pages: DataFrame, references: int = REFERENCES, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
     """page_id, url, text, n_chars of every page."""
     pages.sparkSession.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "128")
     pages = pages.select(F.col(id_col).alias("page_id"), F.col(url_col).cast("string").alias("url"), F.col(html_col).cast("string").alias("html"))
-    host = F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)", 1))
-    pages = pages.withColumn("host", host)
-    # the references of a host: of `references` classes of urls, the page with the least hash each
-    picked = pages.where((F.col("host") != "") & F.col("html").isNotNull()).groupBy("host", F.pmod(F.xxhash64("url"), F.lit(references)).alias("_class")).agg(F.min(F.struct(F.xxhash64("url", "page_id").alias("h"), F.col("page_id"))).alias("m"))
-    picked = picked.select(F.col("host").alias("_host"), F.col("m.page_id").alias("_page"), F.col("m.h").alias("_h"))
-    refs = pages.join(picked, (F.col("host") == F.col("_host")) & (F.col("page_id") == F.col("_page")) & (F.xxhash64("url", "page_id") == F.col("_h")))
-    # bounded: at most `references` pages of a host
-    wrappers = materialize(refs.groupBy("_host").agg(F.slice(F.array_sort(F.collect_set("html")), 1, references).alias("refs")), "references")
-    joined = pages.join(wrappers, F.col("host") == F.col("_host"), "left").select("page_id", "url", "html", "refs")
+    pages = pages.withColumn("host", F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)", 1)))
+    wrappers = induce_wrappers(pages, references)
+    side = F.broadcast(wrappers) if wrappers.count() <= BROADCAST_HOSTS else wrappers
+    joined = pages.join(side, F.col("host") == F.col("_host"), "left").select("page_id", "url", "html", "slot", "template")
 
     def run(batches):
-        parsed: dict = {}
         for b in batches:
-            out = [main_text(h, [r for r in refs or () if r != h], parsed) for h, refs in zip(b.column(2).to_pylist(), b.column(3).to_pylist(), strict=True)]
+            out = [main_text(h, None if s is None else (s, t)) for h, s, t in zip(*(b.column(k).to_pylist() for k in (2, 3, 4)), strict=True)]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(out, pa.string()), pa.array([len(t) for t in out], pa.int64())], names=["page_id", "url", "text", "n_chars"])
 
-    kind = dict(pages.dtypes)["page_id"]
-    return joined.mapInArrow(run, f"page_id {kind}, url string, text string, n_chars long")
+    return joined.mapInArrow(run, f"page_id {dict(pages.dtypes)['page_id']}, url string, text string, n_chars long")
