@@ -41,15 +41,15 @@ def ancestor_pairs(graph: PropertyGraph, direction: str = "ancestors", owners: D
     if owners is not None:
         return _ancestors_from(step, owners)
     now = materialize(step.withColumn("dist", F.lit(1)), "closure")
-    mark = None
-    for _ in range(MAX_DOUBLINGS):
-        seen = now.agg(F.count("*"), F.coalesce(F.sum(F.col("dist").cast("long")), F.lit(0)), F.coalesce(F.sum((F.col("owner") == F.col("member")).cast("int")), F.lit(0))).first()
-        if seen[2]:
+    for i in range(MAX_DOUBLINGS):
+        half = 1 << i
+        seen = now.agg(F.count_if(F.col("owner") == F.col("member")).alias("cycles"), F.count_if(F.col("dist") == half).alias("mids")).first()
+        if seen["cycles"]:
             raise CycleError("the graph has a cycle")
-        if seen[:2] == mark:
+        if not seen["mids"]:
             return now
-        mark = seen[:2]
-        a, b = now.alias("a"), now.alias("b")
+        # a longest path of half+1 to 2*half steps splits into longest paths of exactly half and of at most half
+        a, b = now.where(F.col("dist") == half).alias("a"), now.where(F.col("dist") <= half).alias("b")
         longer = a.join(b, F.col("a.member") == F.col("b.owner")).select(F.col("a.owner"), F.col("b.member"), (F.col("a.dist") + F.col("b.dist")).alias("dist"))
         after = materialize(now.union(longer).groupBy("owner", "member").agg(F.max("dist").alias("dist")), "closure")
         discard(now)
