@@ -21,7 +21,8 @@ from pyspark.sql import types as T
 
 from graphwin.llm.tokens import small_batches
 
-DIM = 1 << 13
+BITS = 12
+DIM = 1 << BITS
 UND = "und"
 LETTER = re.compile(r"[^\W\d_]")
 _BLANK = bytes(c if c >= 128 or chr(c).isalpha() else 32 for c in range(256))
@@ -45,14 +46,14 @@ def features(text: str) -> np.ndarray:
         two = b[:-3] | b[1:-2] << np.uint32(8)
         three = two | b[2:-1] << np.uint32(16)
         for gram, salt in ((two, 0x9E3779B1), (three, 0x85EBCA77), (three | b[3:] << np.uint32(24), 0xC2B2AE3D)):
-            total += np.bincount((gram * np.uint32(salt)) >> np.uint32(32 - 13), minlength=DIM)
+            total += np.bincount((gram * np.uint32(salt)) >> np.uint32(32 - BITS), minlength=DIM)
     total = np.sqrt(total)
     return total / (np.linalg.norm(total) or 1.0)
 
 
 def linear_svm(x: np.ndarray, y: np.ndarray, c: float = 10.0, epochs: int = 12, seed: int = 5) -> np.ndarray:
     """Weights of an L1-loss linear SVM by dual coordinate descent; x has a column of ones; y is -1 or 1."""
-    rng, alpha, w, norms = np.random.default_rng(seed), np.zeros(len(x)), np.zeros(x.shape[1], np.float32), (x * x).sum(1)
+    rng, alpha, w, norms = np.random.default_rng(seed), np.zeros(len(x)), np.zeros(x.shape[1], np.float32), np.einsum("ij,ij->i", x, x)
     upper = np.where(y > 0, c * len(y) / (2 * max(1, (y > 0).sum())), c * len(y) / (2 * max(1, (y < 0).sum())))
     for _ in range(epochs):
         for i in rng.permutation(len(x)):
@@ -75,7 +76,7 @@ class LanguageModel:
         for lang in sorted(set(labels)):
             groups.setdefault(FAMILY_OF.get(lang, lang), []).append(lang)
         families = [groups[k] for k in sorted(groups)]
-        x = np.hstack([x, np.ones((len(x), 1), np.float32)])
+        """x has a last column of ones."""
         names = np.array(labels)
         member = [np.isin(names, f) for f in families]
         rows = [linear_svm(x, np.where(m, 1.0, -1.0)) for m in member] if len(families) > 1 else []
@@ -111,7 +112,7 @@ def held_out(id_col: Column) -> Column:
     return F.crc32(id_col.cast("string").cast("binary")) % 4 == 2
 
 
-def fit_language_model(docs: DataFrame, trainable: Column, per_language: int = 300, id_col: str = "doc_id", text_col: str = "text", label_col: str = "lang") -> LanguageModel | None:
+def fit_language_model(docs: DataFrame, trainable: Column, per_language: int = 200, id_col: str = "doc_id", text_col: str = "text", label_col: str = "lang") -> LanguageModel | None:
     """A model from a bounded sample of the labelled rows for which trainable holds, or None without such rows."""
     small_batches(docs)
     rows = docs.where(trainable & F.col(label_col).isNotNull() & F.col(text_col).rlike(r"\p{L}")).select(F.col(label_col).cast("string").alias("label"), F.col(text_col).alias("text"), F.pmod(F.xxhash64(F.lit(11), id_col), F.lit(1 << 40)).alias("h"))
@@ -120,7 +121,7 @@ def fit_language_model(docs: DataFrame, trainable: Column, per_language: int = 3
         return None
     cut = F.lit(1 << 40)
     for label, n in counts.items():
-        cut = F.when(F.col("label") == label, F.lit(int((1 << 40) * min(1.0, 3 * (per_language + 10) / n)))).otherwise(cut)
+        cut = F.when(F.col("label") == label, F.lit(int((1 << 40) * min(1.0, 1.5 * (per_language + 20) / n)))).otherwise(cut)
     chosen = rows.where(F.col("h") < cut)
 
     def vectors(batches):
@@ -133,16 +134,19 @@ def fit_language_model(docs: DataFrame, trainable: Column, per_language: int = 3
                 val.append(v[nz].astype("<f4").tobytes())
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(at, pa.binary()), pa.array(val, pa.binary()), b.column(2)], names=["label", "at", "val", "h"])
 
-    got = chosen.orderBy("h").limit(4 * per_language * len(counts)).mapInArrow(vectors, "label string, at binary, val binary, h long").collect()
-    x, labels, taken = [], [], dict.fromkeys(counts, 0)
+    got = chosen.orderBy("h").limit(2 * per_language * len(counts)).mapInArrow(vectors, "label string, at binary, val binary, h long").collect()
+    taken, chosen_rows = dict.fromkeys(counts, 0), []
     for r in sorted(got, key=lambda r: (r["h"], r["label"])):
         if taken[r["label"]] < per_language:
             taken[r["label"]] += 1
-            v = np.zeros(DIM, np.float32)
-            v[np.frombuffer(r["at"], "<i4")] = np.frombuffer(r["val"], "<f4")
-            x.append(v)
-            labels.append(r["label"])
-    return LanguageModel.fit(np.array(x), labels) if x else None
+            chosen_rows.append(r)
+    if not chosen_rows:
+        return None
+    x = np.zeros((len(chosen_rows), DIM + 1), np.float32)
+    x[:, -1] = 1
+    for k, r in enumerate(chosen_rows):
+        x[k, np.frombuffer(r["at"], "<i4")] = np.frombuffer(r["val"], "<f4")
+    return LanguageModel.fit(x, [r["label"] for r in chosen_rows])
 
 
 def with_language(docs: DataFrame, model: LanguageModel | None, text_col: str = "text", lang_out: str = "lang_pred", score_out: str = "score") -> DataFrame:
