@@ -1,6 +1,7 @@
 import sys
 from pathlib import Path
 
+import pandas as pd
 import pytest
 
 ROOT = Path(__file__).resolve().parent.parent
@@ -42,7 +43,7 @@ def normal(pdf):
     pdf = pdf[sorted(pdf.columns)]
 
     def cell(v):
-        if v is None or v != v:
+        if pd.api.types.is_scalar(v) and pd.isna(v):
             return None
         if isinstance(v, float):
             return round(v, 9)
