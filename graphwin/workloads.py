@@ -64,7 +64,7 @@ _BRANCH_SQL = f"""{_EVENTS_V}, e AS (SELECT DISTINCT * FROM (SELECT lag(event_id
 UNION ALL SELECT lag(event_id, 3) OVER (PARTITION BY user_id ORDER BY ts, event_id), event_id FROM events) WHERE src IS NOT NULL)"""
 _DIALOGUE_SQL = """v AS (SELECT conv_id * 16 + turn AS id, CAST(length(text) AS BIGINT) AS chars, role FROM conversations),
 e AS (SELECT * FROM (SELECT lag(conv_id * 16 + turn) OVER (PARTITION BY conv_id ORDER BY turn) AS src, conv_id * 16 + turn AS dst FROM conversations) WHERE src IS NOT NULL)"""
-_LINEAGE_SQL = f"""o AS (SELECT * FROM orders WHERE o_orderpriority = '1-URGENT'), v AS (SELECT o_orderkey AS id, {_CENTS.format('o_totalprice')} AS cents FROM o),
+_LINEAGE_SQL = f"""o AS (SELECT * FROM orders WHERE o_orderpriority = '1-URGENT' AND o_orderstatus = 'P'), v AS (SELECT o_orderkey AS id, {_CENTS.format('o_totalprice')} AS cents FROM o),
 e AS (SELECT DISTINCT * FROM (SELECT lag(o_orderkey) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS src, o_orderkey AS dst FROM o
 UNION ALL SELECT lag(o_orderkey) OVER (PARTITION BY l_partkey ORDER BY o_orderdate, o_orderkey), o_orderkey FROM (SELECT DISTINCT l_orderkey, l_partkey FROM lineitem) JOIN o ON l_orderkey = o_orderkey) WHERE src IS NOT NULL)"""
 
@@ -223,11 +223,11 @@ for _name, _build, _gsql, _attr in (("eventbranch", G.eventbranch, _BRANCH_SQL,
         if (_name, _s) in (("eventbranch", "level"), ("catalog", "mc")):
             continue
         _add(f"topo_{ {'mc': 'block', 'level': 'delta_level', 'jump': 'delta_jump'}.get(_s, _s) }_sum_{_name}", _by_strategy(_build, Topological(), [Agg("sum", _attr, "total")], _s), _body)
-_add("topo_delta_sum_lineage", lambda s, d: (lambda g: pd.delta_query(pd.build_delta_index(g), g, [Agg("sum", "cents", "total")]))(_small_lineage(s, d)), _topo(_LINEAGE_SQL, _sum_body("cents", "total")))
+_add("topo_delta_sum_lineage", lambda s, d: (lambda g: pd.delta_query(pd.build_delta_index(g), g, [Agg("sum", "cents", "total")]))(_open_lineage(s, d)), _topo(_LINEAGE_SQL, _sum_body("cents", "total")))
 
 
-def _small_lineage(s, d):
-    return G.lineage(s, d)
+def _open_lineage(s, d):
+    return G.lineage(s, d, status="P")
 
 
 for _d in (3, 5, 10, 20):
@@ -237,7 +237,7 @@ _add("topo_delta_jump_sum_eventchain", _by_strategy(G.eventchain, Topological(),
 _add("topo_kinds_catalog", _by_strategy(G.catalog, Topological(), [Agg("count", None, "n", by="kind")], "jump"), _topo(_CATALOG_SQL, "SELECT owner AS id, kind, count(*) AS n FROM w JOIN v ON member = v.id GROUP BY 1, 2"))
 _add("topo_types_eventbranch", _by_strategy(G.eventbranch, Topological(), [Agg("count", None, "n", by="event_type")], "jump"), _topo(_BRANCH_SQL, "SELECT owner AS id, event_type, count(*) AS n FROM w JOIN v ON member = v.id GROUP BY 1, 2"))
 _add("topo_countif_eventbranch", _by_strategy(G.eventbranch, Topological(), [Agg("count_if", None, "n", where="event_type = 'error'")], "jump"), _topo(_BRANCH_SQL, "SELECT owner AS id, CAST(count_if(event_type = 'error') AS BIGINT) AS n FROM w JOIN v ON member = v.id GROUP BY 1"))
-_add("topo_impact_lineage", lambda s, d: direct(G.lineage(s, d), Topological(include_self=False), [Agg("count", None, "n")]), _topo(_LINEAGE_SQL, "SELECT v.id, count(member) AS n FROM v LEFT JOIN c ON owner = v.id GROUP BY 1"))
+_add("topo_impact_lineage", lambda s, d: direct(_open_lineage(s, d), Topological(include_self=False), [Agg("count", None, "n")]), _topo(_LINEAGE_SQL, "SELECT v.id, count(member) AS n FROM v LEFT JOIN c ON owner = v.id GROUP BY 1"))
 _add("topo_descendants_catalog", lambda s, d: direct(G.catalog(s, d), Topological("descendants"), [Agg("count", None, "n")]), _topo(_CATALOG_SQL, "SELECT member AS id, count(*) AS n FROM w GROUP BY 1"))
 _add("topo_levels_eventbranch", lambda s, d: topo_levels(G.eventbranch(s, d)), None)
 _level_sql = "WITH RECURSIVE {}, q(id, level) AS (SELECT id, 0 FROM v UNION SELECT e.dst, q.level + 1 FROM q JOIN e ON e.src = q.id) SELECT id, CAST(max(level) AS INTEGER) AS level FROM q GROUP BY 1"
