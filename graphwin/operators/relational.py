@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 import pandas as pd
@@ -14,7 +15,7 @@ from graphwin.functions.hashing import hash_columns
 from graphwin.model import KHop
 from graphwin.operators.components import connected_components
 from graphwin.operators.reach import khop_pairs
-from graphwin.session import materialize, shared_dir, ship
+from graphwin.session import shared_dir, ship
 from graphwin.sources import graphs as G
 from graphwin.sources.synthsource import SynthGraphSource
 
@@ -43,7 +44,7 @@ op("scan_parquet", lambda s, d: t(s, d, "orders").where("o_totalprice > 200000")
 
 def _round_trip(kind: str):
     def run(s, d):
-        path = f"{shared_dir(s)}/edges-{kind}-{materialize(s.range(1), 'stamp').shared_path.rsplit('-', 1)[1]}"
+        path = f"{shared_dir(s)}/edges-{kind}-{uuid.uuid4().hex}"
         e = G.copurchase(s, d, 2).edges.select("src", "dst")
         schema = "src long, dst long, _corrupt string"
         if kind == "csv":
@@ -66,7 +67,7 @@ def read_adjacency(s: SparkSession, path: str) -> DataFrame:
 
 
 def _adjacency(s, d):
-    stamp = materialize(s.range(1), "stamp").shared_path.rsplit("-", 1)[1]
+    stamp = uuid.uuid4().hex
     path = f"{shared_dir(s)}/adjacency-{stamp}"
     e = G.relay(s, d).edges
     e.groupBy("src").agg(F.array_join(F.sort_array(F.collect_list("dst")), " ").alias("n")).select(F.concat_ws(": ", F.col("src").cast("string"), "n").alias("value")).write.text(path)
@@ -85,7 +86,7 @@ op("scan_datasource", _datasource, f"SELECT DISTINCT ((v.range * 7919 + j.range
 
 
 def _partitioned(s, d):
-    stamp = materialize(s.range(1), "stamp").shared_path.rsplit("-", 1)[1]
+    stamp = uuid.uuid4().hex
     path = f"{shared_dir(s)}/by-status-{stamp}"
     t(s, d, "orders").select("o_orderkey", "o_orderstatus").write.partitionBy("o_orderstatus").parquet(path)
     return s.read.parquet(path).where("o_orderstatus = 'F'").select("o_orderkey")
@@ -95,9 +96,11 @@ op("sink_parquet_partitioned", _partitioned, "SELECT o_orderkey FROM orders WHER
 
 
 def _bucketed(s, d):
-    for name, df, key in (("gw_orders_b", t(s, d, "orders").select("o_orderkey", "o_custkey"), "o_orderkey"), ("gw_lines_b", t(s, d, "lineitem").select("l_orderkey", "l_partkey"), "l_orderkey")):
-        df.write.mode("overwrite").bucketBy(8, key).sortBy(key).saveAsTable(name)
-    return s.table("gw_lines_b").join(s.table("gw_orders_b"), F.col("l_orderkey") == F.col("o_orderkey")).groupBy("o_custkey").agg(F.count("*").alias("n"))
+    stamp = uuid.uuid4().hex[:12]  # a managed table's folder must be new in every session
+    lines, orders = f"gw_lines_{stamp}", f"gw_orders_{stamp}"
+    for name, df, key in ((orders, t(s, d, "orders").select("o_orderkey", "o_custkey"), "o_orderkey"), (lines, t(s, d, "lineitem").select("l_orderkey", "l_partkey"), "l_orderkey")):
+        df.write.bucketBy(8, key).sortBy(key).saveAsTable(name)
+    return s.table(lines).join(s.table(orders), F.col("l_orderkey") == F.col("o_orderkey")).groupBy("o_custkey").agg(F.count("*").alias("n"))
 
 
 op("sink_bucketed", _bucketed, "SELECT o_custkey, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1")
