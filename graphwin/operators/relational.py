@@ -220,14 +220,14 @@ op("agg_max_by", lambda s, d: t(s, d, "orders").groupBy("o_custkey").agg(F.max_b
 op("agg_string", lambda s, d: t(s, d, "part").groupBy("p_size").agg(F.array_join(F.sort_array(F.collect_set("p_brand")), "|").alias("brands")), "SELECT p_size, string_agg(DISTINCT p_brand, '|' ORDER BY p_brand) AS brands FROM part GROUP BY 1")
 
 # -- windows, order, sets ----------------------------------------------------------------------------------------------
-_bw = Window.partitionBy("p_brand").orderBy("p_size", "p_partkey")
-_bs = Window.partitionBy("p_brand").orderBy("p_size")
-op("win_rank", lambda s, d: t(s, d, "part").select("p_partkey", F.row_number().over(_bw).alias("rn"), F.rank().over(_bs).alias("rk"), F.dense_rank().over(_bs).alias("dr"), F.round(F.percent_rank().over(_bs), 9).alias("pr"), F.round(F.cume_dist().over(_bs), 9).alias("cd"), F.ntile(4).over(_bw).alias("nt")), "SELECT p_partkey, CAST(row_number() OVER a AS INTEGER) AS rn, CAST(rank() OVER b AS INTEGER) AS rk, CAST(dense_rank() OVER b AS INTEGER) AS dr, round(percent_rank() OVER b, 9) AS pr, round(cume_dist() OVER b, 9) AS cd, CAST(ntile(4) OVER a AS INTEGER) AS nt FROM part WINDOW a AS (PARTITION BY p_brand ORDER BY p_size, p_partkey), b AS (PARTITION BY p_brand ORDER BY p_size)")
-_ow = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
-_full = _ow.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-op("win_nav", lambda s, d: t(s, d, "orders").select("o_orderkey", F.lag("o_orderkey").over(_ow).alias("lg"), F.lead("o_orderkey").over(_ow).alias("ld"), F.first("o_orderkey").over(_full).alias("f"), F.last("o_orderkey").over(_full).alias("l"), F.nth_value("o_orderkey", 2).over(_full).alias("n2")), "SELECT o_orderkey, lag(o_orderkey) OVER w AS lg, lead(o_orderkey) OVER w AS ld, first_value(o_orderkey) OVER f AS f, last_value(o_orderkey) OVER f AS l, nth_value(o_orderkey, 2) OVER f AS n2 FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey), f AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")
-_ew = Window.partitionBy("user_id").orderBy("ts", "event_id")
-op("win_rows", lambda s, d: t(s, d, "events").select("event_id", F.sum(cents("value")).over(_ew.rowsBetween(-2, 0)).alias("last3"), F.count("*").over(_ew.rowsBetween(Window.unboundedPreceding, 0)).alias("seen")), f"SELECT event_id, CAST(sum({C.format('value')}) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS 2 PRECEDING) AS BIGINT) AS last3, count(*) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS seen FROM events")
+_bw = lambda: Window.partitionBy("p_brand").orderBy("p_size", "p_partkey")
+_bs = lambda: Window.partitionBy("p_brand").orderBy("p_size")
+op("win_rank", lambda s, d: t(s, d, "part").select("p_partkey", F.row_number().over(_bw()).alias("rn"), F.rank().over(_bs()).alias("rk"), F.dense_rank().over(_bs()).alias("dr"), F.round(F.percent_rank().over(_bs()), 9).alias("pr"), F.round(F.cume_dist().over(_bs()), 9).alias("cd"), F.ntile(4).over(_bw()).alias("nt")), "SELECT p_partkey, CAST(row_number() OVER a AS INTEGER) AS rn, CAST(rank() OVER b AS INTEGER) AS rk, CAST(dense_rank() OVER b AS INTEGER) AS dr, round(percent_rank() OVER b, 9) AS pr, round(cume_dist() OVER b, 9) AS cd, CAST(ntile(4) OVER a AS INTEGER) AS nt FROM part WINDOW a AS (PARTITION BY p_brand ORDER BY p_size, p_partkey), b AS (PARTITION BY p_brand ORDER BY p_size)")
+_ow = lambda: Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+_full = lambda: _ow().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+op("win_nav", lambda s, d: t(s, d, "orders").select("o_orderkey", F.lag("o_orderkey").over(_ow()).alias("lg"), F.lead("o_orderkey").over(_ow()).alias("ld"), F.first("o_orderkey").over(_full()).alias("f"), F.last("o_orderkey").over(_full()).alias("l"), F.nth_value("o_orderkey", 2).over(_full()).alias("n2")), "SELECT o_orderkey, lag(o_orderkey) OVER w AS lg, lead(o_orderkey) OVER w AS ld, first_value(o_orderkey) OVER f AS f, last_value(o_orderkey) OVER f AS l, nth_value(o_orderkey, 2) OVER f AS n2 FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey), f AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")
+_ew = lambda: Window.partitionBy("user_id").orderBy("ts", "event_id")
+op("win_rows", lambda s, d: t(s, d, "events").select("event_id", F.sum(cents("value")).over(_ew().rowsBetween(-2, 0)).alias("last3"), F.count("*").over(_ew().rowsBetween(Window.unboundedPreceding, 0)).alias("seen")), f"SELECT event_id, CAST(sum({C.format('value')}) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS 2 PRECEDING) AS BIGINT) AS last3, count(*) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS seen FROM events")
 op("win_range", lambda s, d: t(s, d, "part").select("p_partkey", F.count("*").over(Window.partitionBy("p_brand").orderBy("p_size").rangeBetween(-3, 3)).alias("near")), "SELECT p_partkey, count(*) OVER (PARTITION BY p_brand ORDER BY p_size RANGE BETWEEN 3 PRECEDING AND 3 FOLLOWING) AS near FROM part")
 op("sort_multi_nulls", lambda s, d: t(s, d, "orders").join(t(s, d, "customer").where("c_nationkey = 1"), F.col("o_custkey") == F.col("c_custkey"), "left").orderBy(F.asc_nulls_last("c_custkey"), F.desc("o_orderkey")).select("c_custkey", "o_orderkey").limit(50), "SELECT c_custkey, o_orderkey FROM orders LEFT JOIN (SELECT * FROM customer WHERE c_nationkey = 1) ON o_custkey = c_custkey ORDER BY c_custkey ASC NULLS LAST, o_orderkey DESC LIMIT 50")
 op("limit_offset", lambda s, d: t(s, d, "orders").orderBy("o_orderkey").offset(5).limit(10).select("o_orderkey"), "SELECT o_orderkey FROM orders ORDER BY o_orderkey LIMIT 10 OFFSET 5")
