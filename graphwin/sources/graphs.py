@@ -170,10 +170,12 @@ def dialogue(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     return PropertyGraph(c.select(node.alias("id"), F.length("text").cast("long").alias("chars"), "role"), e, True, "dialogue")
 
 
-def lineage(spark: SparkSession, sf_dir: str, priority: str = "1-URGENT", status: str | None = None) -> PropertyGraph:
-    """An order to the customer's next, and to the next with the same part, of one priority (and status): deep, with
-    windows that grow with the square of the orders kept."""
-    o = table(spark, sf_dir, "orders").where(F.col("o_orderpriority") == priority).select("o_orderkey", "o_custkey", "o_orderdate", "o_totalprice", "o_orderstatus")
+def lineage(spark: SparkSession, sf_dir: str, priority: str | None = None, status: str | None = None) -> PropertyGraph:
+    """An order to the customer's next, and to the next with the same part, of all orders or those of one priority or
+    status: deep, with windows that grow with the square of the orders kept."""
+    o = table(spark, sf_dir, "orders").select("o_orderkey", "o_custkey", "o_orderdate", "o_totalprice", "o_orderstatus", "o_orderpriority")
+    if priority:
+        o = o.where(F.col("o_orderpriority") == priority)
     if status:
         o = o.where(F.col("o_orderstatus") == status)
     parts = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey").distinct().join(o, F.col("l_orderkey") == F.col("o_orderkey"))
