@@ -1,10 +1,11 @@
 """Licence scan by a positional rare-token index, on built-in functions only.
 
 Documents are read once: of each, the places of words that occur in licence templates are written (common function words
-left out). Document frequencies of those words over the whole table give their IDF. Each document looks up its `TOP`
-highest-IDF licence words in the templates' postings; postings that agree on the relative position (place in the
-document less place in the template) are counted, and a template is named if enough words agree and each of its
-mandatory key phrases stands at its place.
+left out). Document frequencies of those words over the whole table give their IDF. A template is looked up in the documents
+that hold its highest-IDF key word; all its postings there that agree on the relative position (place in the document
+less place in the template) are counted, and the template is named if enough words agree and each of its mandatory key
+phrases stands at its place. Other text in the document takes nothing away. The score is the share of a template's
+words, up to `TOP` of them, at its best place.
 
 Base phrases are looked for beside it, at every place where their words stand consecutively. Null and empty texts have
 no words, no labels and score 0. Repeated rows are judged each.
@@ -88,25 +89,26 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Dat
     places = F.array_compact(F.transform("_w", lambda w, i: F.when(w.isin(vocabulary), F.struct(i.alias("p"), w.alias("w")))))
     stored = materialize(words.select("_row", "_id", F.size("_w").cast("long").alias("n_words"), places.alias("at")), "licence-words")
 
-    flat = stored.where(F.size("at") > 0).select("_row", F.explode("at").alias("x")).select("_row", F.col("x.p").alias("p"), F.col("x.w").alias("w"))
-    evidence = flat.where(F.col("w").isin(sorted({w for _, w, _ in _postings()})))
-    df = evidence.groupBy("w").agg(F.count_distinct("_row").alias("df"))
+    evidence = sorted({w for _, w, _ in _postings()})
+    df = stored.where(F.size("at") > 0).select(F.explode(F.array_distinct(F.col("at.w"))).alias("w")).where(F.col("w").isin(evidence)).groupBy("w").agg(F.count("*").alias("df"))
     rarity = {r["w"]: r["df"] for r in df.collect()}  # at most one row per vocabulary word
-    order = F.lit(0).cast("long")
-    if rarity:
-        order = F.create_map(*[F.lit(v) for w, n in sorted(rarity.items()) for v in (w, int(n))])[F.col("w")]
-    # the highest-IDF words are those with the lowest document frequency
-    top = evidence.groupBy("_row").agg(F.slice(F.sort_array(F.collect_set(F.struct(order.alias("df"), F.col("w")))), 1, TOP).alias("top")).select("_row", F.explode("top.w").alias("w"))
-    table = lambda rows: spark.sql("SELECT * FROM VALUES " + ", ".join(f"({k}, '{w}', {p})" for k, w, p in rows) + " AS t(template, w, place)")
-    postings, keys = F.broadcast(table(_postings())), F.broadcast(table(_keys()))  # fixed sizes
-    anchors = evidence.join(top, ["_row", "w"])
-    agreeing = anchors.join(postings, "w").groupBy("_row", "template", (F.col("p") - F.col("place")).alias("shift")).agg(F.count_distinct("w").alias("agree"))
-    n_keys = {k: len([1 for t, _, _ in _keys() if t == k]) for k in range(len(TEMPLATES))}
-    distinct = {k: len({w for t, w, _ in _postings() if t == k}) for k in range(len(TEMPLATES))}
+    # the highest-IDF key word of a template is that with the lowest document frequency; a text without it lacks the template
+    rarest = {k: min((rarity.get(w, 0), w) for t, w, _ in _keys() if t == k)[1] for k in range(len(TEMPLATES))}
+    near = F.array_compact(F.array(*[F.when(F.array_contains("at.w", w), F.lit(k)) for k, w in rarest.items()]))
+    looked_up = stored.where(F.size("at") > 0).select("_row", "at", near.alias("near")).where(F.size("near") > 0).select("_row", "near", F.explode("at").alias("x"))
+
+    distinct = {k: sorted({w for t, w, _ in _postings() if t == k}) for k in range(len(TEMPLATES))}
+    keys = set(_keys())
+    rows = ", ".join(f"({k}, '{w}', {p}, {1 << distinct[k].index(w)}L, {int((k, w, p) in keys)})" for k, w, p in _postings())
+    postings = F.broadcast(spark.sql(f"SELECT * FROM VALUES {rows} AS t(template, w, place, bit, key)"))  # fixed size
+    places = looked_up.join(postings, (F.col("x.w") == F.col("w")) & F.array_contains("near", F.col("template")))
+    # one word stands at one place, so a key word is counted once a shift; distinct words are bits
+    at_shift = places.groupBy("_row", "template", (F.col("x.p") - F.col("place")).alias("shift")).agg(F.bit_count(F.bit_or("bit")).alias("agree"), F.sum("key").alias("present"))
     number = lambda d: F.create_map(*[F.lit(v) for k, n in d.items() for v in (k, n)])[F.col("template")]
-    enough = agreeing.where(F.col("agree") >= F.least(F.lit(MIN_AGREEING), number(distinct)))
-    keyed = flat.join(keys, "w").select("_row", "template", (F.col("p") - F.col("place")).alias("shift"), "place").distinct().groupBy("_row", "template", "shift").agg(F.count("*").alias("present")).where(F.col("present") == number(n_keys))
-    verified = enough.join(keyed, ["_row", "template", "shift"]).withColumn("share", F.col("agree") / F.least(F.lit(TOP), number(distinct)))
+    n_words, n_keys = number({k: len(ws) for k, ws in distinct.items()}), number({k: len([1 for t, _, _ in keys if t == k]) for k in range(len(TEMPLATES))})
+    verified = at_shift.where((F.col("present") == n_keys) & (F.col("agree") >= F.least(F.lit(MIN_AGREEING), n_words)))
+    # of the words that agree at one place, the `TOP` of the highest IDF count
+    verified = verified.withColumn("share", F.least(F.col("agree"), F.lit(TOP)) / F.least(F.lit(TOP), n_words))
     label = F.create_map(*[F.lit(v) for k, (name, _, _) in enumerate(TEMPLATES) for v in (k, name)])[F.col("template")]
     named = verified.groupBy("_row").agg(F.collect_set(label).alias("named"), F.max("share").alias("share"))
 

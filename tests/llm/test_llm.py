@@ -325,6 +325,16 @@ def test_licenses_odd(spark, odd):
     assert got[1]["first_word"] is None and got[1]["score"] == 0 and licenses.scan(odd.limit(0)).count() == 0
 
 
+def test_every_licence_place_is_reached(spark):
+    apache, mit = "licensed under the Apache License, Version 2.0", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files"
+    incidental = "person charge domain terms files foundation software documentation mozilla creative redistribution forms"
+    rows = [(1, f"{mit} {apache}"), (2, f"{incidental} {apache}"), (3, f"{mit} x licensed under CC BY-NC 4.0 x {apache}"), (4, apache), (5, f"{incidental} apache license"), (6, f"{apache} {mit} {mit}")]
+    rows += [(k, f"word {apache}") for k in range(100, 150)]
+    got = {r["doc_id"]: r for r in licenses.scan(docs(spark, [(k, t, None, None) for k, t in rows])).collect()}
+    assert [got[k]["labels"] for k in range(1, 7)] == ["apache,apache-2.0,mit-notice", "apache,apache-2.0", "apache,apache-2.0,cc-by,cc-by-nc-4.0,mit-notice", "apache,apache-2.0", "apache", "apache,apache-2.0,mit-notice"]
+    assert all(got[k]["labels"] == "apache,apache-2.0" for k in range(100, 150)) and all(got[k]["score"] == 1 for k in range(1, 7))
+
+
 # -- chat
 
 
