@@ -2,13 +2,11 @@
 
 Pages of one host come from few layouts. A few reference pages of each host are parsed into small trees (runs of equal
 sibling leaves are one node, as in a repeated record) and aligned with each other by simple tree matching. Matched nodes
-with equal text on enough pages are template; the rest varies. The wrapper of a host is the path down to the slot that
-holds the varying text, with the template's texts; each page of the host is then read through its wrapper: the blocks
-under the slot are its content.
+with equal text on enough pages are template; the rest varies. The wrapper of a host holds the template's texts; each
+page of the host is then read through its wrapper: every block that isn't template is its content.
 
 What the markup itself names (navigation, headers, footers, sidebars, notices, adverts, forms, scripts, comments) is left
-out before alignment. <article> and <main> are slots by themselves: descent stops there, and a page whose article the
-wrapper's slot doesn't cover, or that doesn't have the slot, is read by its own article or, without one, whole.
+out before alignment. <article> and <main> are slots by themselves: a page that has one is read by it.
 
 References are at most `REFERENCES` pages of a host, those with the least hash, found by a map-side combined aggregate,
 so no host is gathered in one task. Null html gives an empty text; a host with one page, or none, has no wrapper;
@@ -29,8 +27,6 @@ from graphwin.session import materialize
 
 REFERENCES = 4
 MIN_VOTES = 2
-#: A child that holds this share of the varying text is descended into.
-SLOT_SHARE = 0.8
 #: Wrappers (a path and a few lines each) are broadcast for up to this many hosts, shuffled beyond.
 BROADCAST_HOSTS = 100_000
 # HTML element classes.
@@ -221,33 +217,13 @@ def constant_texts(shapes: list[list], mains: list[str]) -> set[str]:
     return {line for line, on in pages.items() if len(on) >= need}
 
 
-def slot_path(found: list[tuple[str, str, bool, Node]], constant: set[str]) -> str:
-    """The path down to the node that holds the varying text: a child is entered as long as it holds most of it."""
-    varying = [(path, len(text)) for path, text, inside, _ in found if inside or text not in constant]
-    total, at = sum(n for _, n in varying), ""
-    while total and at.rsplit("/", 1)[-1] not in ("article", "main"):
-        share: dict[str, int] = {}
-        for path, n in varying:
-            if path.startswith(at + "/"):
-                child = path[len(at) + 1 :].split("/", 1)[0]
-                if child not in ("p", "li", "td", "blockquote") and not re.fullmatch("h[1-6]", child):
-                    share[child] = share.get(child, 0) + n
-        best = max(share, key=lambda c: share[c], default=None)
-        if best is None or share[best] < SLOT_SHARE * total:
-            break
-        at = f"{at}/{best}"
-    return at
-
-
 def induce(pages: list[str]) -> tuple[str, list[str]] | None:
-    """A host's wrapper: the path of its content slot and the template's texts; None without two unlike pages."""
+    """A host's wrapper: its slot, the whole page, and the template's texts; None without two unlike pages."""
     found = [f for f in (blocks(parse(p)) for p in pages) if f]
     mains = [max((f[1] for f in x), key=len) for x in found]
     if len(set(mains)) < 2:
         return None
-    constant = constant_texts([shape(f) for f in found], mains)
-    paths = [slot_path(f, constant) for f in found]
-    return max(sorted(set(paths)), key=paths.count), sorted(constant)
+    return "", sorted(constant_texts([shape(f) for f in found], mains))
 
 
 def main_text(markup: str | None, wrapper: tuple[str, list[str]] | None = None) -> str:
@@ -255,11 +231,7 @@ def main_text(markup: str | None, wrapper: tuple[str, list[str]] | None = None)
     found = blocks(parse(markup)) if markup else []
     articles = [f for f in found if f[2]]
     if wrapper:
-        path, constant = wrapper
-        template = set(constant)
-        slot = [f for f in found if (f[0] == path or f[0].startswith(path + "/")) and (f[2] or f[1] not in template)]
-        if slot and all(any(f is g for g in slot) for f in articles):
-            return "\n".join(f[1] for f in (articles or slot))
+        template = set(wrapper[1])
         found = [f for f in found if f[1] not in template]
     return "\n".join(f[1] for f in (articles or found))
 

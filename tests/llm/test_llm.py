@@ -213,6 +213,13 @@ def test_wrapper_induction():
     assert wrapper.induce(pages[:1] * 3) is None
 
 
+def test_all_varying_blocks_stay():
+    page = lambda i: f"<body><div>Unmarked menu of the site</div><h1>Title {i}</h1><p>Lead {i}</p><div>{f'body text of {i} ' * 20}</div><section>Second {i}</section></body>"
+    pages = [page(i) for i in range(4)]
+    w = wrapper.induce(pages)
+    assert [wrapper.main_text(p, w).split("\n") for p in pages] == [[f"Title {i}", f"Lead {i}", (f"body text of {i} " * 20).strip(), f"Second {i}"] for i in range(4)]
+
+
 @pytest.mark.parametrize(
     "html,text",
     [
