@@ -1,22 +1,27 @@
 """Main text of web pages by wrapper induction.
 
-Pages of one host come from few layouts. A few reference pages of each host are parsed into small trees (runs of equal
-sibling leaves are one node, as in a repeated record) and aligned with each other by simple tree matching. Matched nodes
-with equal text on enough pages are template; the rest varies. The wrapper of a host holds the template's texts; each
-page of the host is then read through its wrapper: every block that isn't template is its content.
+Pages of one host come from few layouts. Each page is parsed into a tree of blocks, and every block gets the places it
+can be matched at: the path of its ancestors, each by its rank among its siblings, counted in runs of equal siblings (as
+in a repeated record) and from the front or the back, so that what varies beside it doesn't move it. Blocks of two pages
+at one place are matched. The wrapper of a host holds, for each layout and for the host as a whole, the matched places
+whose text is the same on `MIN_PAGES` unlike pages and on half of those that have the place: template. Every page is read
+through its host's wrapper: every block that isn't template is its content.
 
-What the markup itself names (navigation, headers, footers, sidebars, notices, adverts, forms, scripts, comments) is left
-out before alignment. <article> and <main> are slots by themselves: a page that has one is read by it.
+Counts of places merge in any order, so the wrapper is learned from all pages with map-side combined aggregates and no
+host is gathered in one task. Pages are unlike if one of their two longest other texts differs: copies of one page
+agree everywhere and count once.
 
-References are at most `REFERENCES` pages of a host, those with the least hash, found by a map-side combined aggregate,
-so no host is gathered in one task. Null html gives an empty text; a host with one page, or none, has no wrapper;
-repeated pages are read each.
+What the markup itself names (navigation, headers, footers, sidebars, notices, adverts, forms, scripts, comments) is left
+out before alignment. <article> and <main> are slots by themselves: a page that has one is read by it. Null html gives an
+empty text; a host without two unlike pages has no wrapper; repeated pages are read each.
 """
 
 from __future__ import annotations
 
+import hashlib
 import html as html_lib
 import re
+from collections import Counter
 from dataclasses import dataclass, field
 
 import pyarrow as pa
@@ -25,10 +30,9 @@ from pyspark.sql import functions as F
 
 from graphwin.session import materialize
 
-REFERENCES = 4
-MIN_VOTES = 2
-#: Wrappers (a path and a few lines each) are broadcast for up to this many hosts, shuffled beyond.
-BROADCAST_HOSTS = 100_000
+MIN_PAGES = 2
+#: Wrappers are broadcast for up to this many template places in all, shuffled beyond.
+BROADCAST_PLACES = 1_000_000
 # HTML element classes.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = ("script", "style", "textarea", "title", "noscript", "template", "svg", "math", "iframe", "object", "canvas", "audio", "video")
@@ -45,6 +49,8 @@ NOISE_ROLES = frozenset("navigation banner contentinfo complementary search form
 
 _TOKEN = re.compile(r"<!--.*?(?:-->|$)|<!\[CDATA\[.*?(?:\]\]>|$)|<[!?][^>]*(?:>|$)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
 _ATTR = re.compile(r"([^\s=/\"'>]+)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))")
+_CLASS = re.compile(r"\bclass\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.I)
+_DIGITS = re.compile(r"\d+")
 _PART = re.compile(r"[^a-z0-9]+")
 _RAW_END = {t: re.compile(rf"</{t}(?=[\s/>])[^>]*(?:>|$)", re.I) for t in RAW}
 
@@ -54,6 +60,7 @@ class Node:
     tag: str
     noise: bool = False
     inside: bool = False  # in <article> or <main>
+    kind: str = ""  # tag and classes, without numbers
     parts: list = field(default_factory=list)  # str or Node, in page order
 
 
@@ -76,6 +83,11 @@ def _noise(tag: str, attrs: str) -> bool:
     return False
 
 
+def _classes(attrs: str) -> str:
+    m = _CLASS.search(attrs) if attrs and "=" in attrs else None
+    return _DIGITS.sub("", " ".join((m.group(1) or m.group(2) or m.group(3) or "").lower().split())) if m else ""
+
+
 def parse(markup: str) -> Node:
     root = Node("#root")
     stack = [root]
@@ -109,7 +121,7 @@ def parse(markup: str) -> Node:
                 if stack[k].tag not in INLINE and stack[k].tag not in closing and stack[k].tag not in ("td", "th", "tr"):
                     break
         attrs = m.group(3)
-        node = Node(tag, stack[-1].noise or _noise(tag, attrs) and tag not in ("html", "body"), stack[-1].inside or tag in ("article", "main"))
+        node = Node(tag, stack[-1].noise or _noise(tag, attrs) and tag not in ("html", "body"), stack[-1].inside or tag in ("article", "main"), f"{tag} {_classes(attrs)}")
         stack[-1].parts.append(node)
         if tag in RAW:
             end = _RAW_END[tag].search(markup, at)
@@ -121,149 +133,196 @@ def parse(markup: str) -> Node:
     return root
 
 
-def blocks(root: Node) -> list[tuple[str, str, bool, Node]]:
-    """(path, text, inside, block's node) of the blocks that the markup doesn't rule out, in page order."""
-    out: list[tuple[str, str, bool, Node]] = []
+class Place:
+    """A block element among its siblings; `kids` are its own child blocks and `texts` the number of texts in it."""
+
+    __slots__ = ("at", "kids", "kind", "marks", "parent", "ranks", "tag", "texts")
+
+    def __init__(self, tag: str, kind: str, parent: Place | None):
+        self.tag, self.kind, self.parent, self.kids, self.texts, self.ranks, self.marks = tag, kind, parent, [], 0, None, None
+        if parent is not None:
+            self.at = len(parent.kids)
+            parent.kids.append(self)
+
+
+@dataclass
+class Block:
+    text: str
+    inside: bool
+    place: Place
+    nth: int
+
+
+def blocks(root: Node) -> list[Block]:
+    """The blocks that the markup doesn't rule out, in page order."""
+    out: list[Block] = []
     now: list[str] = []
 
-    def flush(path: str, node: Node) -> None:
+    def flush(place: Place, node: Node) -> None:
         text = " ".join(html_lib.unescape("".join(now)).split())
         now.clear()
         if text:
-            out.append((path, text, node.inside, node))
+            out.append(Block(text, node.inside, place, place.texts))
+            place.texts += 1
 
-    todo: list = [(root, "", iter(root.parts))]
+    top = Place("", "", None)
+    todo: list = [(root, top, iter(root.parts))]
     while todo:
-        node, path, rest = todo[-1]
+        node, place, rest = todo[-1]
         part = next(rest, None)
         if part is None:
             todo.pop()
             if node.tag not in INLINE and todo:
-                flush(path, node)
+                flush(place, node)
             continue
         if isinstance(part, str):
             now.append(part)
         elif part.noise:
             if part.tag not in INLINE:
-                flush(path, node)
+                flush(place, node)
             else:
                 now.append(" ")
         elif part.tag == "br":
             now.append(" ")
         elif part.tag in INLINE:
-            todo.append((part, path, iter(part.parts)))
+            todo.append((part, place, iter(part.parts)))
         else:
-            flush(path, node)
-            todo.append((part, f"{path}/{part.tag}", iter(part.parts)))
-    flush("", root)
+            flush(place, node)
+            todo.append((part, Place(part.tag, part.kind, place), iter(part.parts)))
+    flush(top, root)
     return out
 
 
 # -- alignment ---------------------------------------------------------------------------------------------------------
 
 
-def shape(found: list[tuple[str, str, bool, Node]]) -> list:
-    """The page's tree of blocks as nested [tag, children, text]; runs of equal sibling leaves are one leaf."""
-    root: list = ["", [], ""]
-    for path, text, _, _ in found:
-        node = root
-        for tag in path.split("/")[1:]:
-            if not node[1] or node[1][-1][0] != tag or not node[1][-1][1] and node[1][-1][2] and tag not in ("p", "li", "h1", "h2", "h3", "h4", "tr"):
-                node[1].append([tag, [], ""])
-            node = node[1][-1]
-        node[2] = f"{node[2]}\n{text}" if node[2] else text
-    return root
+def _digest(*parts: bytes) -> bytes:
+    return hashlib.blake2b(b"\0".join(parts), digest_size=8).digest()
 
 
-def match(a: list, b: list, pairs: list | None = None) -> int:
-    """Simple tree matching: the most node pairs that keep tags, order and ancestry. pairs gets the matched nodes."""
-    if a[0] != b[0]:
-        return 0
-    m, n = len(a[1]), len(b[1])
-    best = [[0] * (n + 1) for _ in range(m + 1)]
-    own = [[0] * n for _ in range(m)]
-    for i in range(m):
-        for j in range(n):
-            own[i][j] = match(a[1][i], b[1][j])
-            best[i + 1][j + 1] = max(best[i][j + 1], best[i + 1][j], best[i][j] + own[i][j])
-    if pairs is not None:
-        pairs.append((a, b))
-        i, j = m, n
-        while i and j:
-            if own[i - 1][j - 1] and best[i][j] == best[i - 1][j - 1] + own[i - 1][j - 1]:
-                match(a[1][i - 1], b[1][j - 1], pairs)
-                i, j = i - 1, j - 1
-            elif best[i][j] == best[i - 1][j]:
-                i -= 1
-            else:
-                j -= 1
-    return best[m][n] + 1
-
-
-def constant_texts(shapes: list[list], mains: list[str]) -> set[str]:
-    """Lines of nodes that stand, matched and equal, on at least MIN_VOTES + 1 pages, each with a main text of its own."""
-    pages: dict[str, set[int]] = {}
-    for i in range(len(shapes)):
-        for j in range(i):
-            if mains[i] == mains[j]:
-                continue  # copies of one page agree everywhere
-            pairs: list = []
-            match(shapes[i], shapes[j], pairs)
-            for x, y in pairs:
-                if x[2] and x[2] == y[2]:
-                    for line in x[2].split("\n"):
-                        pages.setdefault(line, set()).update((i, j))
-    need = max(MIN_VOTES + 1, (len(set(mains)) + 1) // 2)
-    return {line for line, on in pages.items() if len(on) >= need}
-
-
-def induce(pages: list[str]) -> tuple[str, list[str]] | None:
-    """A host's wrapper: its slot, the whole page, and the template's texts; None without two unlike pages."""
-    found = [f for f in (blocks(parse(p)) for p in pages) if f]
-    mains = [max((f[1] for f in x), key=len) for x in found]
-    if len(set(mains)) < 2:
-        return None
-    return "", sorted(constant_texts([shape(f) for f in found], mains))
-
-
-def main_text(markup: str | None, wrapper: tuple[str, list[str]] | None = None) -> str:
+def _number(digest: bytes) -> int:
+    return int.from_bytes(digest, "big", signed=True)
+
+
+def _ranks(tags: list[str]) -> list[tuple[tuple[int, int], tuple[int, int]]]:
+    """Of each sibling, from the front and from the back: its run of equal tags, its rank in the run."""
+
+    def counted(line: list[str]) -> list[tuple[int, int]]:
+        out, run, n = [], -1, 0
+        for i, tag in enumerate(line):
+            run, n = (run, n + 1) if i and tag == line[i - 1] else (run + 1, 0)
+            out.append((run, n))
+        return out
+
+    return list(zip(counted(tags), counted(tags[::-1])[::-1], strict=True))
+
+
+def _marks(place: Place) -> list[bytes]:
+    """The place by runs and ranks counted from the front or the back: four ways."""
+    line = []
+    at: Place | None = place
+    while at is not None and at.marks is None:
+        line.append(at)
+        at = at.parent
+    for p in reversed(line):
+        if p.parent is None:
+            p.marks = [b""] * 4
+            continue
+        if p.parent.ranks is None:
+            p.parent.ranks = _ranks([k.tag for k in p.parent.kids])
+        (run, n), (run_back, n_back) = p.parent.ranks[p.at]
+        ways = ((run, n), (run, -1 - n_back), (-1 - run_back, n), (-1 - run_back, -1 - n_back))
+        p.marks = [_digest(m, p.tag.encode(), b"%d %d" % w) for m, w in zip(p.parent.marks, ways, strict=True)]
+    return place.marks
+
+
+def _layout(found: list[Block]) -> bytes:
+    """The outermost elements that stand side by side, in runs of equal ones."""
+    at = found[0].place
+    while at.parent is not None:
+        at = at.parent
+    path = []
+    while len(at.kids) == 1 and not at.texts:
+        at = at.kids[0]
+        path.append(at.kind)
+    kinds = [k.kind for i, k in enumerate(at.kids) if not i or k.kind != at.kids[i - 1].kind]
+    return _digest("/".join(path).encode(), "|".join(kinds).encode())
+
+
+def places(found: list[Block]) -> list[list[tuple[int, int]]]:
+    """Of each block outside <article> and <main>: (place, place with this text), in its layout and in any."""
+    if all(f.inside for f in found):
+        return [[] for _ in found]
+    layout, out = _layout(found), []
+    for f in found:
+        if f.inside:
+            out.append([])
+            continue
+        nth = (f.nth, f.nth - f.place.texts)
+        at = {_digest(g, b"%d" % i, m, b"%d" % nth[i % 2]) for g in (layout, b"") for i, m in enumerate(_marks(f.place))}
+        text = f.text.encode("utf-8", "surrogatepass")
+        out.append([(_number(a), _number(_digest(a, text))) for a in sorted(at)])
+    return out
+
+
+def evidence(found: list[Block]) -> list[tuple[int, int, int]]:
+    """(place, place with text, page) of a page; the page is named by its two longest texts beside the block's own."""
+    longest = sorted({f.text for f in found}, key=lambda t: (-len(t), t))[:3]
+    code = {t: t.encode("utf-8", "surrogatepass") for t in longest}
+    rest = lambda own: _number(_digest(*[code[t] for t in longest if t != own][:2]))
+    other, name = rest(None), {t: rest(t) for t in longest}
+    return [(a, m, name.get(f.text, other)) for f, at in zip(found, places(found) if found else [], strict=True) for a, m in at]
+
+
+def induce(pages: list[str]) -> tuple[set[int], list[str]] | None:
+    """A host's wrapper: the template's places with their texts, and the texts to read; None without a template."""
+    each = [blocks(parse(p)) for p in pages]
+    seen = {e for found in each for e in evidence(found)}
+    have, agree = Counter(a for a, _ in {(a, page) for a, _, page in seen}), Counter((a, m) for a, m, _ in seen)
+    template = {m for (a, m), n in agree.items() if n >= MIN_PAGES and 2 * n >= have[a]}
+    texts = {f.text for found in each for f, at in zip(found, places(found), strict=True) if any(m in template for _, m in at)}
+    return (template, sorted(texts)) if template else None
+
+
+def main_text(markup: str | None, wrapper: tuple | None = None) -> str:
     """The page's content blocks, joined by newlines."""
     found = blocks(parse(markup)) if markup else []
-    articles = [f for f in found if f[2]]
-    if wrapper:
-        template = set(wrapper[1])
-        found = [f for f in found if f[1] not in template]
-    return "\n".join(f[1] for f in (articles or found))
+    articles = [f for f in found if f.inside]
+    if wrapper and found and not articles:
+        template = wrapper[0]
+        found = [f for f, at in zip(found, places(found), strict=True) if not any(m in template for _, m in at)]
+    return "\n".join(f.text for f in (articles or found))
 
 
-def induce_wrappers(pages: DataFrame, references: int = REFERENCES) -> DataFrame:
-    """(_host, slot, template) of rows (host, url, page_id, html); written table."""
-    known = pages.where((F.col("host") != "") & F.col("html").isNotNull())
-    least = known.groupBy("host", F.pmod(F.xxhash64("url"), F.lit(references)).alias("_class")).agg(F.min(F.struct(F.xxhash64("url", "page_id").alias("h"), F.col("html"))).alias("m"))
-    # at most `references` pages of a host
-    refs = least.groupBy(F.col("host").alias("_host")).agg(F.array_sort(F.collect_list(F.col("m.html"))).alias("refs")).where(F.size("refs") > 1)
+def induce_wrappers(pages: DataFrame) -> DataFrame:
+    """(_host, mark): the template places of each host of rows (host, html), over all its pages; written table."""
 
     def run(batches):
         for b in batches:
-            out = [(h, *w) for h, refs in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True) if (w := induce(refs))]
-            cols = list(zip(*out, strict=True)) or [[], [], []]
-            yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.string()), pa.array(cols[1], pa.string()), pa.array(cols[2], pa.list_(pa.string()))], names=["_host", "slot", "template"])
+            out = [(h, *e) for h, markup in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True) for e in evidence(blocks(parse(markup)))]
+            cols = list(zip(*out, strict=True)) or [[], [], [], []]
+            yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.string())] + [pa.array(c, pa.int64()) for c in cols[1:]], names=["_host", "place", "mark", "page"])
 
-    return materialize(refs.mapInArrow(run, "_host string, slot string, template array<string>"), "wrappers")
+    known = pages.where((F.col("host") != "") & F.col("html").isNotNull()).select("host", "html")
+    seen = materialize(known.mapInArrow(run, "_host string, place long, mark long, page long").distinct(), "places")
+    have = seen.select("_host", "place", "page").distinct().groupBy("_host", "place").agg(F.count("*").alias("have"))
+    agree = seen.groupBy("_host", "place", "mark").agg(F.count("*").alias("agree")).where(F.col("agree") >= MIN_PAGES)
+    return materialize(agree.join(have, ["_host", "place"]).where(2 * F.col("agree") >= F.col("have")).select("_host", "mark").distinct(), "wrappers")
 
 
-def extract(pages: DataFrame, references: int = REFERENCES, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
+def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
     """page_id, url, text, n_chars of every page."""
     pages.sparkSession.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "128")
     pages = pages.select(F.col(id_col).alias("page_id"), F.col(url_col).cast("string").alias("url"), F.col(html_col).cast("string").alias("html"))
     pages = pages.withColumn("host", F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)", 1)))
-    wrappers = induce_wrappers(pages, references)
-    side = F.broadcast(wrappers) if wrappers.count() <= BROADCAST_HOSTS else wrappers
-    joined = pages.join(side, F.col("host") == F.col("_host"), "left").select("page_id", "url", "html", "slot", "template")
+    marks = induce_wrappers(pages)
+    wrappers = marks.groupBy("_host").agg(F.collect_list("mark").alias("template"))  # a host's layouts, not its pages
+    side = F.broadcast(wrappers) if marks.count() <= BROADCAST_PLACES else wrappers
+    joined = pages.join(side, F.col("host") == F.col("_host"), "left").select("page_id", "url", "html", "template")
 
     def run(batches):
         for b in batches:
-            out = [main_text(h, None if s is None else (s, t)) for h, s, t in zip(*(b.column(k).to_pylist() for k in (2, 3, 4)), strict=True)]
+            out = [main_text(h, None if t is None else (frozenset(t),)) for h, t in zip(b.column(2).to_pylist(), b.column(3).to_pylist(), strict=True)]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(out, pa.string()), pa.array([len(t) for t in out], pa.int64())], names=["page_id", "url", "text", "n_chars"])
 
     return joined.mapInArrow(run, f"page_id {dict(pages.dtypes)['page_id']}, url string, text string, n_chars long")

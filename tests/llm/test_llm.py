@@ -220,6 +220,31 @@ def test_all_varying_blocks_stay():
     assert [wrapper.main_text(p, w).split("\n") for p in pages] == [[f"Title {i}", f"Lead {i}", (f"body text of {i} " * 20).strip(), f"Second {i}"] for i in range(4)]
 
 
+def test_every_page_is_aligned(spark):
+    site = lambda menu, body, end="": f'<body><div class="t">{menu}</div><div class="c">{body}</div>{end}</body>'
+    para = lambda i: "".join(f"<p>sentence {j} of page {i}</p>" for j in range(1 + i % 3))
+    plain = lambda i: "\n".join(f"sentence {j} of page {i}" for j in range(1 + i % 3))
+    table = lambda i: f"<body><table><tr><td>Other menu<td>cell {i}</table><div>Other end</div></body>"
+    rows, want = [], {}
+
+    def add(host, i, html, text, url=None):
+        want[len(rows)] = text
+        rows.append((len(rows), url or f"http://{host}/{i}", html))
+
+    for i in range(2):  # two unlike pages, of one url
+        add("two", i, site("Menu of two", para(i)), plain(i), "http://two/same")
+    for i in range(3):
+        add("three", i, site("Menu of three", para(i)), plain(i))
+    for i in range(40):  # two layouts; a notice on most pages of one; a sentence of the menu stands in one body
+        add("many", i, site("Menu of many", para(i), "<section>Notice</section>" if i % 4 else ""), plain(i))
+        add("many", i + 100, table(i), f"cell {i}")
+    add("many", 999, site("Menu of many", "<p>Other menu</p><p>once</p>"), "Other menu\nonce")
+    for _ in range(3):  # copies of one page have nothing to compare
+        add("copies", 0, site("Menu of copies", para(2)), f"Menu of copies\n{plain(2)}")
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    assert {r["page_id"]: r["text"] for r in wrapper.extract(df).collect()} == want
+
+
 @pytest.mark.parametrize(
     "html,text",
     [
