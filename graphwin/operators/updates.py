@@ -173,6 +173,32 @@ def update_delta_index(index: DeltaIndex, graph: PropertyGraph, changes: list[tu
     return index, graph
 
 
+def _reached(edges: DataFrame, start: DataFrame, direction: str) -> DataFrame:
+    """(id): start (id) and all its descendants or ancestors, from one vertex put beside them all."""
+    beside = F.lit(-(1 << 63)).cast("long")
+    both = (beside.alias("src"), F.col("id").alias("dst")) if direction == "descendants" else (F.col("id").alias("src"), beside.alias("dst"))
+    e = edges.select("src", "dst").union(start.select(*both))
+    return ancestor_pairs(PropertyGraph(start, e, True), direction, start.sparkSession.range(1).select(beside.alias("owner"))).select(F.col("member").alias("id"))
+
+
+def update_delta_batch(index: DeltaIndex, graph: PropertyGraph, changes: DataFrame) -> tuple[DeltaIndex, PropertyGraph]:
+    """Edge changes of any number at once. The windows of the changed edges' lower ends and their descendants are found
+    anew, in the part of the DAG above them; no other window or parent's window changes. Equal to a rebuild."""
+    after = changed_graph(graph, changes)
+    fresh = after.vertices.select("id").join(graph.vertices.select("id"), "id", "left_anti")
+    touched = materialize(_reached(graph.edges.select("src", "dst").union(after.edges.select("src", "dst")).distinct(), changes.select(F.col("dst").alias("id")).union(fresh).distinct(), "descendants"), "touched")
+    inside = materialize(_reached(after.edges, touched, "ancestors"), "inside")
+    closure = ancestor_pairs(PropertyGraph(inside, after.edges.join(inside.toDF("dst"), "dst", "left_semi").select("src", "dst"), True))
+    sizes = closure.groupBy(F.col("owner").alias("v")).agg(F.max("dist").cast("int").alias("level"), (F.count("*") + 1).alias("card"))
+    here = touched.toDF("v")
+    anew = here.join(sizes, "v", "left").select("v", F.coalesce("level", F.lit(0)).alias("level"), F.coalesce("card", F.lit(1)).cast("long").alias("card"))
+    kept = index.parent.join(here, "v", "left_anti").select("v", "pid", "level", "card")
+    pids = closest_parent(PropertyGraph(after.vertices, after.edges.join(touched.toDF("dst"), "dst", "left_semi"), True), kept.select("v", "card").union(anew.select("v", "card")))
+    again = materialize(anew.join(pids, "v", "left").select("v", "pid", "level", "card"), "again")
+    delta = index.delta.join(here, "v", "left_anti").select("v", "member").union(window_delta(closure, again))
+    return DeltaIndex(materialize(kept.union(again), "pd_parent"), materialize(delta, "pd_delta"), index.stats), after
+
+
 def add_isolated(index: DeltaIndex, graph: PropertyGraph, vertices: DataFrame) -> tuple[DeltaIndex, PropertyGraph]:
     fresh = vertices.join(graph.vertices.select("id"), "id", "left_anti")
     rows = fresh.select(F.col("id").alias("v"), F.lit(None).cast("long").alias("pid"), F.lit(0).alias("level"), F.lit(1).cast("long").alias("card"))

@@ -319,6 +319,23 @@ def _delta_update(op: str):
 _add("update_insert_delta_synthdag", _delta_update("+"), _topo(_synthdag_sql(_SMALL_DAG, 2), _sum_body("attr", "total")))
 _add("update_delete_delta_synthdag", _delta_update("-"), _topo(_synthdag_sql(_SMALL_DAG, 2).replace("e AS (", "e0 AS (", 1) + ", e AS (SELECT * FROM e0 EXCEPT (SELECT * FROM e0 WHERE (src + dst) % 40 = 0 ORDER BY dst, src LIMIT 2))", _sum_body("attr", "total")))
 
+
+def _delta_batch(op: str):
+    """All edges of the 1% change set at once."""
+
+    def run(s, d):
+        g = G.eventbranch(s, d)
+        changes = _edge_changes(g, op)
+        start = g if op == "-" else updates.changed_graph(g, changes.withColumn("op", F.lit("-")))
+        ix, after = updates.update_delta_batch(pd.build_delta_index(start), start, changes)
+        return pd.delta_query(ix, after, [Agg("sum", "cents", "total")])
+
+    return run
+
+
+_add("update_insert_delta_eventbranch", _delta_batch("+"), ORACLES["topo_direct_sum_eventbranch"])
+_add("update_delete_delta_eventbranch", _delta_batch("-"), _topo(_BRANCH_SQL.replace("e AS (", "e0 AS (", 1) + ", " + _less, _sum_body("cents", "total")))
+
 # -- SQL surface -------------------------------------------------------------------------------------------------------
 
 _add("sql_surface_khop", lambda s, d: graph_window_sql(s, "SELECT id, SUM(p_size) AS total, COUNT(*) AS n OVER KHOP(2, both) FROM parts USING direct ORDER BY total DESC LIMIT 20", {"parts": G.copurchase(s, d, 2)}), _khop(_copurchase_sql(2), 2, True, "SELECT owner AS id, CAST(sum(p_size) AS BIGINT) AS total, count(*) AS n FROM w JOIN v ON member = v.id GROUP BY 1 ORDER BY total DESC, id LIMIT 20"))
