@@ -153,6 +153,10 @@ _two_sql = _RELAY_SQL.format(filter="AND o_orderpriority IN ('1-URGENT', '2-HIGH
 for _s in ("mc", "emc"):
     _add(f"khop_{_s}_sum_relay_out_k2", _by_strategy(_two, KHop(2), _cents, _s), _khop(_two_sql, 2, False, _sum_body("cents", "sum_cents")))
 _add("khop_mc_sum_relay_in_k1", _by_strategy(_two, KHop(1, "in"), _cents, "mc"), _khop(_two_sql, 1, False, _sum_body("cents", "sum_cents"), "in"))
+for _dir in ("out", "in", "both"):
+    for _k in (1, 2):
+        for _s in ("mc", "emc")[:_k]:
+            _add(f"khop_{_s}_sum_relay_all_{_dir}_k{_k}", _by_strategy(G.relay, KHop(_k, _dir), _cents, _s), ORACLES[f"khop_direct_sum_relay_{_dir}_k{_k}"])
 _add("khop_mc_waves_sum_copurchase_k2", _by_strategy(_cop(2), KHop(2), _size, "mc", waves=2), ORACLES["khop_mc_sum_copurchase_k2"])
 _add("khop_mc_split_sum_copurchase_k2", _by_strategy(_cop(2), KHop(2), _size, "mc", max_pairs_per_cluster=500), ORACLES["khop_mc_sum_copurchase_k2"])
 for _fn, _sql in (("count", "count(*)"), ("avg", "avg(p_size)"), ("min", "min(p_size)"), ("max", "max(p_size)"), ("var_pop", "var_pop(p_size)")):
@@ -192,11 +196,12 @@ _add("khop_noself_count_copurchase_k2", _by_strategy(_cop(2), KHop(2, include_se
 _add("khop_zero_sum_copurchase", _by_strategy(_cop(2), KHop(0), _size, "direct"), "SELECT p_partkey AS id, CAST(p_size AS BIGINT) AS sum_size FROM part")
 
 
-def _topk(s, d):
-    return top(direct(_two(s, d), KHop(2), [Agg("count", None, "n")]), 10, "n")
+def _topk(build: Build):
+    return lambda s, d: top(direct(build(s, d), KHop(2), [Agg("count", None, "n")]), 10, "n")
 
 
-_add("khop_topk_relay_k2", _topk, _khop(_two_sql, 2, False, "SELECT owner AS id, count(*) AS n FROM w GROUP BY 1 ORDER BY n DESC, id LIMIT 10"))
+_add("khop_topk_relay_k2", _topk(_two), _khop(_two_sql, 2, False, "SELECT owner AS id, count(*) AS n FROM w GROUP BY 1 ORDER BY n DESC, id LIMIT 10"))
+_add("khop_topk_relay_all_k2", _topk(G.relay), _khop(_RELAY_SQL.format(filter=""), 2, False, "SELECT owner AS id, count(*) AS n FROM w GROUP BY 1 ORDER BY n DESC, id LIMIT 10"))
 
 
 def _subset(s, d):
@@ -254,6 +259,9 @@ _h = ", ".join(f"CAST(min(({a} * (member % {PRIME}) + {b}) % {PRIME}) AS BIGINT)
 _minhash_sql = _khop(_two_sql, 2, False, f"SELECT owner, {_h} FROM w GROUP BY 1")
 _add("minhash_explicit_relay_k2", lambda s, d: sb.signature_explicit(window_pairs(_two(s, d), KHop(2)), 2), _minhash_sql)
 _add("minhash_propagated_relay_k2", lambda s, d: sb.signature_propagated(_two(s, d), KHop(2), 2), _minhash_sql)
+_minhash_all_sql = _khop(_RELAY_SQL.format(filter=""), 2, False, f"SELECT owner, {_h} FROM w GROUP BY 1")
+_add("minhash_explicit_relay_all_k2", lambda s, d: sb.signature_explicit(window_pairs(G.relay(s, d), KHop(2)), 2), _minhash_all_sql)
+_add("minhash_propagated_relay_all_k2", lambda s, d: sb.signature_propagated(G.relay(s, d), KHop(2), 2), _minhash_all_sql)
 for _k in (1, 2):
     _add(f"jaccard_exact_copurchase_k{_k}", (lambda k: lambda s, d: sb.jaccard_exact(window_pairs(G.copurchase(s, d, 3), KHop(k))))(_k), _khop(_copurchase_sql(3), _k, True, "SELECT a.owner AS u, b.owner AS v, count(*) AS inter, any_value(na.n) + any_value(nb.n) - count(*) AS uni FROM w a JOIN w b ON a.member = b.member AND a.owner < b.owner JOIN (SELECT owner, count(*) AS n FROM w GROUP BY 1) na ON na.owner = a.owner JOIN (SELECT owner, count(*) AS n FROM w GROUP BY 1) nb ON nb.owner = b.owner GROUP BY 1, 2"))
 
@@ -267,6 +275,8 @@ def _estimate(s, d):
 _add("jaccard_estimate_relay_k2", _estimate)
 _add("cluster_full_relay_k2", lambda s, d: sb.cluster_full(_two(s, d), KHop(2)))
 _add("cluster_estimated_relay_k2", lambda s, d: sb.cluster_estimated(_two(s, d), KHop(2)))
+_add("cluster_full_relay_all_k2", lambda s, d: sb.cluster_full(G.relay(s, d), KHop(2)))
+_add("cluster_estimated_relay_all_k2", lambda s, d: sb.cluster_estimated(G.relay(s, d), KHop(2)))
 _add("block_stats_copurchase_k2", lambda s, d: measures.block_stats(sb.build_block_index(G.copurchase(s, d, 2), KHop(2))))
 _add("window_volume_copurchase_k2", lambda s, d: window_volume(G.copurchase(s, d, 2), KHop(2), exact=True), _khop(_copurchase_sql(2), 2, True, "SELECT count(*) AS pairs FROM w"))
 _add("window_volume_estimated_copurchase_k2", lambda s, d: window_volume(G.copurchase(s, d, 2), KHop(2)))
