@@ -1,10 +1,13 @@
 """Sum-of-squares packing of documents into sequences of a fixed capacity.
 
-The rule: a piece goes where the sum, over gaps, of the squared number of open bins with that gap becomes smallest.
-Pieces of equal length are interchangeable, so the rule runs over the histogram of lengths (at most `capacity` numbers)
-and not over the pieces. The histogram is read as digits in base `BASE`: bins found for a digit stand for BASE**j equal
-bins, and poorly filled ones are dissolved into the next lower digit, so the driver's work is bounded by digits, lengths
-and BASE, not by the corpus. Pieces then find their place by their number among the pieces of their length.
+The rule: a piece goes where the sum, over gaps, of the squared number of open bins with that gap becomes smallest; a
+bin that is full leaves the sum. Pieces of equal length are interchangeable, so the rule runs over the histogram of
+lengths (at most `capacity` numbers) and not over the pieces. The pieces of a length are placed in at most `BLOCKS` blocks
+of equal size, each by the rule for the block as a whole (n pieces turn n bins of one gap into n bins of another), and all
+open bins stay open to every later block. So the driver's work is bounded by lengths x BLOCKS whatever the corpus, and up
+to BLOCKS pieces of a length the rule is the sequential one, piece by piece. Long pieces go first, longest first; the
+short ones follow interleaved, each length spread evenly, as the rule is made for mixed arrivals. Pieces then find their
+place by their number among the pieces of their length.
 """
 
 from __future__ import annotations
@@ -22,7 +25,10 @@ from graphwin.functions.ranks import LOCAL, PART, PartitionRanker, partition_off
 from graphwin.llm.tokens import encoder, small_batches
 from graphwin.session import materialize
 
-BASE = 256
+#: Blocks that the pieces of one length are placed in.
+BLOCKS = 128
+#: Pieces below this share of the capacity are short.
+SHORT = 1 / 8
 END_ID = 0
 
 
@@ -34,81 +40,67 @@ def cut(n: int, capacity: int) -> list[tuple[int, int]]:
     return [(0, first), *((s, capacity) for s in range(first, n, capacity))]
 
 
-def _level(items: list[tuple[int, int]], capacity: int, squares: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Sum-of-squares (or else best fit) over (length, count), longest first: lengths, bins and offsets of the items;
-    final gap of each bin."""
-    open_by_gap = np.zeros(capacity + 1)
-    open_by_gap[0] = -0.5  # a bin filled up leaves the sum: this makes the same formula hold
-    bins_at: list[list[int]] = [[] for _ in range(capacity + 1)]
-    lengths, bins, offsets, gaps = [], [], [], []
-    for length, count in items:
-        here, left = open_by_gap[length:capacity], open_by_gap[: capacity - length]
-        for _ in range(count):
-            gap = -1
-            if here.size and not squares:
-                at = int((here > 0).argmax())
-                gap = length + at if here[at] > 0 else -1
-            elif here.size:
-                change = np.where(here > 0, left - here, np.inf)
+def arrivals(histogram: dict[int, int], capacity: int, blocks: int = BLOCKS) -> list[tuple[int, int]]:
+    """(length, pieces) in the order of placing, over the lengths below the capacity."""
+    longs, shorts = [], []
+    for length in sorted((n for n, c in histogram.items() if n < capacity and c), reverse=True):
+        count = histogram[length]
+        parts = min(count, blocks)
+        sizes = [count * (k + 1) // parts - count * k // parts for k in range(parts)]
+        if length >= capacity * SHORT:
+            longs += [(length, n) for n in sizes]
+        else:
+            shorts += [((k + 0.5) / parts, -length, n) for k, n in enumerate(sizes)]
+    return longs + [(-neg, n) for _, neg, n in sorted(shorts)]
+
+
+def sum_of_squares(order: list[tuple[int, int]], capacity: int) -> tuple[list[tuple[int, int, int, int]], int]:
+    """Slots (length, first bin, offset, bins) of the blocks, and the number of bins. A block for which the chosen gap has
+    too few bins fills those and goes on with what is left of it."""
+    bins = np.zeros(capacity + 1)  # open bins by gap
+    runs: list[list[tuple[int, int]]] = [[] for _ in range(capacity + 1)]  # (first bin, bins) of each gap
+    slots, made = [], 0
+    for length, left in order:
+        from_gap, to_gap = bins[length:capacity], bins[: capacity - length]
+        while left:
+            gap, n = capacity, left
+            if from_gap.size and from_gap.any():
+                n_at = np.minimum(from_gap, left)
+                # what n bins that change their gap add to the sum, for each bin; full bins aren't counted
+                change = np.where(from_gap > 0, 2 * (to_gap - from_gap) + 2 * n_at, np.inf)
+                if from_gap[0]:
+                    change[0] = n_at[0] - 2 * from_gap[0]
                 at = int(change.argmin())
-                if 2 * change[at] + 2 <= 2 * open_by_gap[capacity - length] + 1:
-                    gap = length + at
-            if gap < 0:
-                b, gap = len(gaps), capacity
-                gaps.append(capacity)
-            else:
-                b = bins_at[gap].pop()
-                open_by_gap[gap] -= 1
+                if change[at] <= 2 * bins[capacity - length] + n_at[at]:
+                    gap, n = length + at, int(n_at[at])
+            left -= n
             rest = gap - length
-            lengths.append(length)
-            bins.append(b)
-            offsets.append(capacity - gap)
-            gaps[b] = rest
-            if rest:
-                open_by_gap[rest] += 1
-                bins_at[rest].append(b)
-    return np.array(lengths, np.int64), np.array(bins, np.int64), np.array(offsets, np.int64), np.array(gaps, np.int64)
-
-
-def packing_plan(histogram: dict[int, int], capacity: int, base: int = BASE) -> pd.DataFrame:
+            if gap == capacity:
+                taken, made = [(made, n)], made + n
+            else:
+                bins[gap] -= n
+                taken = []
+                while n:
+                    first, many = runs[gap].pop()
+                    if many > n:
+                        runs[gap].append((first + n, many - n))
+                    taken.append((first, min(many, n)))
+                    n -= min(many, n)
+            for first, many in taken:
+                slots.append((length, first, capacity - gap, many))
+                if rest:
+                    bins[rest] += many
+                    runs[rest].append((first, many))
+    return slots, made
+
+
+def packing_plan(histogram: dict[int, int], capacity: int, blocks: int = BLOCKS) -> pd.DataFrame:
     """Slots (length, first, sequence_id, offset, times): pieces number first .. first+times-1 of that length stand at
     offset of sequences sequence_id, sequence_id+1, ..."""
-    rest = {n: c for n, c in histogram.items() if n < capacity and c}
-    slots, next_seq = [], 0
+    slots, made = sum_of_squares(arrivals(histogram, capacity, blocks), capacity)
     if full := histogram.get(capacity, 0):
-        slots.append(pd.DataFrame({"length": [capacity], "sequence_id": [0], "offset": [0], "times": [full]}))
-        next_seq = full
-    top = 0
-    while any(c >= base ** (top + 1) for c in rest.values()):
-        top += 1
-    for j in range(top, -1, -1):
-        times = base**j
-        items = [(n, rest[n] // times) for n in sorted(rest, reverse=True) if rest[n] >= times]
-        if not items:
-            continue
-        lengths, bins, offsets, gaps = _level(items, capacity)
-        keep = gaps <= (0 if j == 0 else capacity // 100)
-        chosen = keep[bins]
-        number = np.cumsum(keep) - 1
-        loose = [(int(n), int(c)) for n, c in zip(*np.unique(lengths[~chosen], return_counts=True), strict=True)][::-1]
-        n_loose = int((~keep).sum())
-        kept = lengths[chosen], number[bins[chosen]], offsets[chosen]
-        if j == 0 and loose:
-            again = _level(loose, capacity, squares=False)
-            if len(again[3]) < n_loose:  # best fit mends what the last open bins waste
-                bins = np.concatenate([kept[1], again[1] + keep.sum()])
-                lengths, offsets, keep = np.concatenate([kept[0], again[0]]), np.concatenate([kept[2], again[2]]), np.ones(int(keep.sum()) + len(again[3]), bool)
-            else:
-                keep = np.ones(len(gaps), bool)
-        else:
-            lengths, bins, offsets = kept
-        for n, c in zip(*np.unique(lengths, return_counts=True), strict=True):
-            rest[int(n)] -= int(c) * times
-        slots.append(pd.DataFrame({"length": lengths, "sequence_id": next_seq + bins * times, "offset": offsets, "times": times}))
-        next_seq += int(keep.sum()) * times
-    if not slots:
-        return pd.DataFrame({k: pd.Series(dtype="int64") for k in ("length", "first", "sequence_id", "offset", "times")})
-    plan = pd.concat(slots, ignore_index=True).sort_values(["length", "sequence_id"], kind="stable")
+        slots.append((capacity, made, 0, full))
+    plan = pd.DataFrame(slots, columns=["length", "sequence_id", "offset", "times"]).astype("int64").sort_values(["length", "sequence_id"], kind="stable")
     plan["first"] = plan.groupby("length")["times"].cumsum() - plan["times"]
     return plan.reset_index(drop=True)[["length", "first", "sequence_id", "offset", "times"]]
 
