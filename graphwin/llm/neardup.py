@@ -1,7 +1,7 @@
 """Near-duplicate documents by b-bit MinHash, with links confirmed on whole shingle sets.
 
-1. Every text becomes its set of 5-word shingle hashes (the whole sequence if it is shorter), `BANDS` x `ROWS` minima,
-   one key per band, and a signature that keeps the low 8 bits of each minimum. Texts with one and the same set are one
+1. Every text becomes its set of 5-word shingle hashes (the whole sequence if it is shorter), bands of `ROWS` minima, one
+   key per band, and a signature that keeps the low 8 bits of each minimum. Texts with one and the same set are one
    node from here on: groups of copies never meet as pairs.
 2. Nodes that share a band key are candidates. Each hangs on the least node of its bucket (no pairs inside a bucket), and
    connected components of these stars give clusters that hold every candidate pair.
@@ -11,12 +11,17 @@
    connected need no further look, so what a task returns is a forest, never all pairs.
 4. Components of the forests give each document the smallest document id that it reaches.
 
-A pair at the threshold misses all bands with probability below 1e-6, and is ruled out by its signature with one below
-1e-6. Null and empty texts have empty sets and are linked with nothing. Repeated rows are copies. Null ids are allowed.
+`plan()` takes as many bands as it needs for a pair at the threshold to miss all with a probability below `MISS`, and the
+lowest number of equal signature bytes that such a pair falls short of with one below `MISS` (exact binomial tail): 24
+bands at 85%, 35 at 80%. Null and empty texts have empty sets and are linked with nothing. Repeated rows, also with null
+ids, are copies. Ties don't arise: a component is named by its least id. Extra columns are ignored or, in
+drop_near_duplicates(), kept. An empty table gives no rows.
 """
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -26,12 +31,12 @@ from graphwin.llm.tokens import small_batches
 from graphwin.operators.components import connected_components
 from graphwin.session import materialize
 
-SHINGLE, BANDS, ROWS, PERCENT = 5, 24, 5, 85
-SLOTS = BANDS * ROWS
+SHINGLE, ROWS, PERCENT = 5, 5, 85
+#: Probability at which a pair at the threshold may miss all bands, and at which its signature may rule it out.
+MISS = 1e-6
 #: Shingles of a block; a task holds two blocks, 8 bytes a shingle and some copies.
 BLOCK_SHINGLES = 2_000_000
-#: Standard deviations below the threshold at which the signature rules a pair out.
-SLACK = 5.0
+MAX_SLOTS = 1_000
 _UPPER, _LOWER = b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz"
 _LOW = bytes.maketrans(_UPPER, _LOWER)
 
@@ -50,11 +55,27 @@ class _WordHashes(dict):
 
 _words = _WordHashes()
 _rng = np.random.default_rng(20_011)
-_MULTIPLY = _rng.integers(1, 1 << 63, SLOTS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-_ADD = _rng.integers(0, 1 << 63, SLOTS, dtype=np.uint64)
+_MULTIPLY = _rng.integers(1, 1 << 63, MAX_SLOTS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+_ADD = _rng.integers(0, 1 << 63, MAX_SLOTS, dtype=np.uint64)
 _MIX = _rng.integers(1, 1 << 63, max(ROWS, SHINGLE) + 1, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
 
+def plan(percent: int) -> tuple[int, int]:
+    """(bands, least number of equal signature bytes) for a threshold."""
+    s = percent / 100
+    bands = max(1, math.ceil(math.log(MISS) / math.log1p(-(s**ROWS)))) if s < 1 else 1
+    if bands * ROWS > MAX_SLOTS:
+        raise ValueError(f"a threshold of {percent}% needs {bands} bands, more than {MAX_SLOTS // ROWS}")
+    slots, agree = bands * ROWS, s + (1 - s) / 256
+    below, floor = 0.0, 0
+    while s < 1:
+        below += math.comb(slots, floor) * agree**floor * (1 - agree) ** (slots - floor)
+        if below >= MISS:
+            return bands, floor
+        floor += 1
+    return bands, slots
+
+
 def _mixed(h: np.ndarray) -> np.ndarray:
     h = (h ^ (h >> np.uint64(31))) * np.uint64(0x7FB5D329728EA185)
     return h ^ (h >> np.uint64(29))
@@ -73,29 +94,33 @@ def shingle_set(text: str | None, shingle: int = SHINGLE) -> np.ndarray:
     return np.unique(out)
 
 
-def minima(s: np.ndarray) -> np.ndarray:
-    out = np.full(SLOTS, np.iinfo(np.uint64).max, np.uint64)
+def minima(s: np.ndarray, slots: int) -> np.ndarray:
+    out = np.full(slots, np.iinfo(np.uint64).max, np.uint64)
     for a in range(0, len(s), 512):
-        np.minimum(out, (s[a : a + 512, None] * _MULTIPLY + _ADD).min(0), out=out)
+        np.minimum(out, (s[a : a + 512, None] * _MULTIPLY[:slots] + _ADD[:slots]).min(0), out=out)
     return out
 
 
 def band_keys(m: np.ndarray) -> np.ndarray:
-    by_band = m.reshape(BANDS, ROWS)
-    key = np.arange(BANDS, dtype=np.uint64)
+    by_band = m.reshape(-1, ROWS)
+    key = np.arange(len(by_band), dtype=np.uint64)
     for j in range(ROWS):
         key = _mixed(key + by_band[:, j] * _MIX[j])
     return key.view(np.int64)
 
 
+def equal_bytes(sig: np.ndarray, others: np.ndarray) -> np.ndarray:
+    """Equal bytes of packed signatures."""
+    return others.shape[1] - np.count_nonzero(np.bitwise_xor(others, sig), axis=1)
+
+
 def estimate(sig: np.ndarray, others: np.ndarray) -> np.ndarray:
     """Similarity from equal bytes, corrected for the share of unequal minima whose low bits agree by chance."""
     chance = 1 / 256
-    equal = SLOTS - np.count_nonzero(np.bitwise_xor(others, sig), axis=1)
-    return (equal / SLOTS - chance) / (1 - chance)
+    return (equal_bytes(sig, others) / others.shape[1] - chance) / (1 - chance)
 
 
-def sketched(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def sketched(docs: DataFrame, bands: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, text_hash, n_shingles, node (16 bytes that stand for the set; null if empty), bands, sig."""
     small_batches(docs)
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(F.col(text_col)).alias("text_hash"), F.col(text_col).cast("string").alias("text"))
@@ -104,18 +129,18 @@ def sketched(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
         import xxhash
 
         for b in batches:
-            n, node, bands, sig = [], [], [], []
+            n, node, keys, sig = [], [], [], []
             for text in b.column(2).to_pylist():
                 s = shingle_set(text)
                 n.append(len(s))
                 if not len(s):
-                    node.append(None), bands.append(None), sig.append(None)
+                    node.append(None), keys.append(None), sig.append(None)
                     continue
-                m = minima(s)
+                m = minima(s, bands * ROWS)
                 node.append(xxhash.xxh3_128_digest(s.tobytes()))
-                bands.append(band_keys(m))
+                keys.append(band_keys(m))
                 sig.append((m & np.uint64(255)).astype(np.uint8).tobytes())
-            cols = [b.column(0), b.column(1), pa.array(n, pa.int64()), pa.array(node, pa.binary()), pa.array(bands, pa.list_(pa.int64())), pa.array(sig, pa.binary())]
+            cols = [b.column(0), b.column(1), pa.array(n, pa.int64()), pa.array(node, pa.binary()), pa.array(keys, pa.list_(pa.int64())), pa.array(sig, pa.binary())]
             yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "text_hash", "n_shingles", "node", "bands", "sig"])
 
     return docs.mapInArrow(run, "doc_id long, text_hash long, n_shingles long, node binary, bands array<long>, sig binary")
@@ -125,17 +150,23 @@ def linked_forest(sets: list[np.ndarray], sigs: np.ndarray, percent: int = PERCE
     """For each of the sets the number of the least set it is linked with, directly or over others."""
     n = np.array([len(s) for s in sets])
     label = np.arange(len(sets))
-    floor = percent / 100 - SLACK * (percent / 100 * (1 - percent / 100) / SLOTS) ** 0.5
+    floor = plan(percent)[1]
+    members: dict[int, list[int]] = {}  # of each label that has more than its own set
 
     def join(a: int, b: int) -> None:
-        lo, hi = min(label[a], label[b]), max(label[a], label[b])
-        label[label == hi] = lo
+        a, b = label[a], label[b]
+        mine, theirs = members.pop(a, [a]), members.pop(b, [b])
+        if len(mine) < len(theirs):
+            mine, theirs, a = theirs, mine, b
+        label[theirs] = a  # the smaller group is renamed: n log n in all
+        mine += theirs
+        members[a] = mine
 
     if len(sets) == 2:
-        if estimate(sigs[0], sigs[1:])[0] >= floor:
+        if equal_bytes(sigs[0], sigs[1:])[0] >= floor:
             both = len(np.intersect1d(sets[0], sets[1], assume_unique=True))
             if 100 * both >= percent * (n[0] + n[1] - both):
-                join(0, 1)
+                label[1] = 0
         return label
     tokens, place, df = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
     rank = np.empty(len(tokens), np.int64)
@@ -164,7 +195,7 @@ def linked_forest(sets: list[np.ndarray], sigs: np.ndarray, percent: int = PERCE
         if not len(near):
             continue
         near = np.unique(near)
-        likely = estimate(sigs[x], sigs[near])
+        likely = equal_bytes(sigs[x], sigs[near])
         near, likely = near[likely >= floor], likely[likely >= floor]
         near = near[np.argsort(-likely, kind="stable")]
         inside[own[x]] = True
@@ -178,6 +209,8 @@ def linked_forest(sets: list[np.ndarray], sigs: np.ndarray, percent: int = PERCE
             near = near[label[near] != label[x]]
             step = min(256, step * 4)
         inside[own[x]] = False
+    for group in members.values():
+        label[group] = min(group)
     return label
 
 
@@ -208,10 +241,13 @@ def _forests(members: DataFrame, percent: int) -> DataFrame:
 
 
 def _sets_of(docs: DataFrame, wanted: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """wanted (low, text_hash, node, ...) with the shingle set of each node, from the texts."""
+    """wanted (low, text_hash, times, node, ...) with the shingle set of each node, from the texts; where a row is repeated,
+    one of them is read."""
     texts = docs.select(F.col(id_col).cast("long").alias("low"), F.xxhash64(F.col(text_col)).alias("text_hash"), F.col(text_col).cast("string").alias("text"))
     joined = texts.join(wanted.withColumnsRenamed({"low": "_low", "text_hash": "_hash"}), F.col("low").eqNullSafe(F.col("_low")) & (F.col("text_hash") == F.col("_hash")))
-    joined = joined.select("node", "n", "sig", "cluster", "blocks", "text")
+    joined = joined.select("node", "n", "sig", "cluster", "blocks", "text", "times")
+    if not wanted.where("times > 1").isEmpty():
+        joined = joined.where("times = 1").unionByName(joined.where("times > 1").dropDuplicates(["node"]))
 
     def run(batches):
         for b in batches:
@@ -223,11 +259,12 @@ def _sets_of(docs: DataFrame, wanted: DataFrame, id_col: str, text_col: str) ->
 
 def labelled(docs: DataFrame, percent: int = PERCENT, block_shingles: int = BLOCK_SHINGLES, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, text_hash, n_shingles, node, component_id of every row."""
-    rows = materialize(sketched(docs, id_col, text_col), "sketches")
+    rows = materialize(sketched(docs, plan(percent)[0], id_col, text_col), "sketches")
     filled = rows.where(F.col("node").isNotNull())
     # one row for each distinct set, and one text to read it from
-    first = F.min(F.struct("doc_id", "text_hash"))
-    nodes = materialize(filled.groupBy("node").agg(first.alias("f"), F.max("n_shingles").alias("n"), F.first("bands").alias("bands"), F.first("sig").alias("sig")).select("node", F.col("f.doc_id").alias("low"), F.col("f.text_hash").alias("text_hash"), "n", "bands", "sig"), "nodes")
+    same = filled.groupBy("node", "doc_id", "text_hash").agg(F.count("*").alias("times"), F.max("n_shingles").alias("n"), F.first("bands").alias("bands"), F.first("sig").alias("sig"))
+    first = F.min(F.struct("doc_id", "text_hash", "times"))
+    nodes = materialize(same.groupBy("node").agg(first.alias("f"), F.max("n").alias("n"), F.first("bands").alias("bands"), F.first("sig").alias("sig")).select("node", F.col("f.doc_id").alias("low"), F.col("f.text_hash").alias("text_hash"), F.col("f.times").alias("times"), "n", "bands", "sig"), "nodes")
     in_buckets = nodes.select("node", F.explode("bands").alias("bucket"))
     buckets = in_buckets.groupBy("bucket").agg(F.min("node").alias("lead"), F.max("node").alias("last")).where(F.col("lead") < F.col("last")).select("bucket", "lead")
     stars = in_buckets.join(buckets, "bucket").where(F.col("node") != F.col("lead")).select(F.col("node").alias("src"), F.col("lead").alias("dst"))
@@ -235,7 +272,7 @@ def labelled(docs: DataFrame, percent: int = PERCENT, block_shingles: int = BLOC
     member = nodes.drop("bands").join(clusters.select(F.col("vertex").alias("node"), F.col("component").alias("cluster")), "node")
     weight = member.groupBy("cluster").agg(F.ceil(F.sum("n") / block_shingles).alias("blocks"))
     with_sets = _sets_of(docs, member.join(weight, "cluster"), id_col, text_col)
-    # a row meets every block of its cluster; copies of a row that the text join repeats stay copies
+    # a set meets every block of its cluster
     block = F.pmod(F.xxhash64("node"), F.col("blocks"))
     cells = F.when(F.col("blocks") > 1, F.transform(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1), lambda k: F.struct(F.least(block, k).alias("i"), F.greatest(block, k).alias("j")))).otherwise(F.array(F.struct(F.lit(0).cast("long").alias("i"), F.lit(0).cast("long").alias("j"))))
     dealt = with_sets.select("cluster", "node", "sig", "set", F.explode(cells).alias("c")).select(F.concat("cluster", F.encode(F.concat_ws(",", "c.i", "c.j"), "utf-8")).alias("cell"), "node", "sig", "set")
