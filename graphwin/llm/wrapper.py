@@ -1,19 +1,20 @@
 """Main text of web pages by wrapper induction.
 
-Pages of one host come from few layouts. Each page is parsed into a tree of blocks, and every block gets the places it
-can be matched at: the path of its ancestors, each by its rank among its siblings, counted in runs of equal siblings (as
-in a repeated record) and from the front or the back, so that what varies beside it doesn't move it. Blocks of two pages
-at one place are matched. The wrapper of a host holds, for each layout and for the host as a whole, the matched places
-whose text is the same on `MIN_PAGES` unlike pages and on half of those that have the place: template. Every page is read
-through its host's wrapper: every block that isn't template is its content.
-
-Counts of places merge in any order, so the wrapper is learned from all pages with map-side combined aggregates and no
-host is gathered in one task. Pages are unlike if one of their two longest other texts differs: copies of one page
-agree everywhere and count once.
-
-What the markup itself names (navigation, headers, footers, sidebars, notices, adverts, forms, scripts, comments) is left
-out before alignment. <article> and <main> are slots by themselves: a page that has one is read by it. Null html gives an
-empty text; a host without two unlike pages has no wrapper; repeated pages are read each.
+Pages of one host come from few layouts. Each page is parsed into a tree of blocks. Trees are matched as simple tree
+matching does, children in order and equal tag by equal tag: a block's place is the path of its ancestors, each by its
+rank in its run of equal siblings, counted from the front or the back, so that what varies beside a block doesn't move it,
+and blocks of two pages at one place are matched. Matched blocks whose text is the same are constant: the wrapper's
+template. All other places are its slots, and what stands in them is the content.
+
+A block is constant if its text stands at one place on `MIN_PAGES` unlike pages and on most pages of the layouts in which
+it does; one page more is asked for where the markup speaks for content (<article>, <main>, the text of an <h1>). Pages are
+unlike if their two longest other texts both differ, so near copies of a page, which agree nearly everywhere, don't make
+content a template. Markup names come second: what they rule out (navigation, headers, footers, sidebars, notices, adverts,
+forms, scripts, comments) is not a slot, and if some slots lie in <article> or <main>, those are the content.
+
+Counts merge in any order, so wrappers are learned from all pages by map-side combined aggregates and no host is gathered
+in one task: one pass finds texts that recur on a host, a second one their places. Null html gives an empty text; a host
+without two unlike pages has no template; repeated pages count once and are read each; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -21,7 +22,7 @@ from __future__ import annotations
 import hashlib
 import html as html_lib
 import re
-from collections import Counter
+from collections import Counter, defaultdict
 from dataclasses import dataclass, field
 
 import pyarrow as pa
@@ -31,8 +32,8 @@ from pyspark.sql import functions as F
 from graphwin.session import materialize
 
 MIN_PAGES = 2
-#: Wrappers are broadcast for up to this many template places in all, shuffled beyond.
-BROADCAST_PLACES = 1_000_000
+#: Recurring texts and template places (8 bytes each) are broadcast up to this many, shuffled beyond.
+BROADCAST_ROWS = 1_000_000
 # HTML element classes.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = ("script", "style", "textarea", "title", "noscript", "template", "svg", "math", "iframe", "object", "canvas", "audio", "video")
@@ -41,13 +42,17 @@ INLINE = frozenset("a abbr acronym b bdi bdo big cite code data dfn em font i in
 CLOSES = {"p": ("p",), "li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",), "thead": ("tr", "td", "th"), "tbody": ("thead", "tr", "td", "th"), "tfoot": ("tbody", "tr", "td", "th")}
 BLOCKS_END_P = frozenset("address article aside blockquote center details dialog dir div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr main menu nav ol p pre section table ul".split())
 NOISE_NAMES = frozenset(
-    "ad ads adv advert adverts advertisement advertising adsense sponsor sponsored promo promotion banner nav navbar navigation menu menubar topbar sidebar side aside rail widget footer foot header masthead"
+    "ad ads adv advert adverts advertisement advertising adsense sponsor sponsored promo promotion banner nav navbar navigation menu menubar topbar sidebar aside widget footer header masthead"
     " notice cookie cookies consent gdpr popup modal overlay alert newsletter subscribe subscription signup login share sharing social related recommended breadcrumb breadcrumbs pagination pager"
-    " comment comments respond replies disqus discussion reader-comments copyright legal disclaimer skip toolbar tagcloud".split()
+    " comment comments respond replies disqus reader-comments copyright disclaimer skip toolbar tagcloud".split()
 )
+#: Of these also a part of a name is enough ("top-menu"), on elements that hold others.
+NOISE_PARTS = frozenset("ad ads advert adverts advertisement sponsored banner nav navbar navigation menu sidebar footer header masthead notice cookie cookies gdpr popup modal newsletter breadcrumb breadcrumbs pagination comment comments disqus".split())
+HOLDERS = frozenset("div section ul ol dl table details figure center address".split())
 NOISE_ROLES = frozenset("navigation banner contentinfo complementary search form alert dialog menu menubar toolbar".split())
 
-_TOKEN = re.compile(r"<!--.*?(?:-->|$)|<!\[CDATA\[.*?(?:\]\]>|$)|<[!?][^>]*(?:>|$)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
+# possessive: no way back into what was read, so a tag without an end costs one pass
+_TOKEN = re.compile(r"<!--.*?(?:-->|$)|<!\[CDATA\[.*?(?:\]\]>|$)|<[!?][^>]*+(?:>|$)|</(?![a-zA-Z])[^>]*+(?:>|$)|<(/?)([a-zA-Z][^\s/>]*+)((?:[^>=]|=\s*+\"[^\"]*\"|=\s*+'[^']*'|=)*+)>", re.S)
 _ATTR = re.compile(r"([^\s=/\"'>]+)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))")
 _CLASS = re.compile(r"\bclass\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.I)
 _DIGITS = re.compile(r"\d+")
@@ -75,8 +80,8 @@ def _noise(tag: str, attrs: str) -> bool:
         name, value = name.lower(), html_lib.unescape(a or b or c).lower()
         if name in ("class", "id"):
             for word in value.split():
-                # an article's compound names ("post-header-1") say little; "comment" or "ad" alone does
-                if word in NOISE_NAMES or tag not in ("article", "main") and any(p in NOISE_NAMES for p in _PART.split(word)):
+                # compound names of an article or a paragraph ("post-header-1") say little; "comment" or "ad" alone does
+                if word in NOISE_NAMES or tag in HOLDERS and any(p in NOISE_PARTS for p in _PART.split(word)):
                     return True
         elif name == "role" and value in NOISE_ROLES or name == "aria-hidden" and value == "true" or name == "style" and re.search(r"display\s*:\s*none", value):
             return True
@@ -89,17 +94,31 @@ def _classes(attrs: str) -> str:
 
 
 def parse(markup: str) -> Node:
+    """The tree of a page in one pass. Text from a tag that never ends is text."""
     root = Node("#root")
     stack = [root]
+    is_open: dict[str, int] = defaultdict(int)  # open elements by tag
+
+    def cut(k: int) -> None:
+        for gone in stack[k:]:
+            is_open[gone.tag] -= 1
+        del stack[k:]
+
     at, n = 0, len(markup)
     while at < n:
-        m = _TOKEN.search(markup, at)
-        if not m:
-            tail = markup[at:]
-            stack[-1].parts.append(tail)
+        lt = markup.find("<", at)
+        if lt < 0:
+            stack[-1].parts.append(markup[at:])
             break
-        if m.start() > at:
-            stack[-1].parts.append(markup[at : m.start()])
+        if lt > at:
+            stack[-1].parts.append(markup[at:lt])
+        m = _TOKEN.match(markup, lt)
+        if not m:
+            after = markup[lt + 1 : lt + 3].lstrip("/")[:1]
+            whole = after.isascii() and after.isalpha()
+            stack[-1].parts.append(markup[lt:] if whole else "<")
+            at = n if whole else lt + 1
+            continue
         at = m.end()
         if m.group(2) is None:
             if m.group(0).startswith("<![CDATA["):
@@ -107,29 +126,30 @@ def parse(markup: str) -> Node:
             continue
         tag = m.group(2).lower()
         if m.group(1):
-            for k in range(len(stack) - 1, 0, -1):
-                if stack[k].tag == tag:
-                    del stack[k:]
-                    break
+            if is_open[tag]:
+                k = len(stack) - 1
+                while stack[k].tag != tag:
+                    k -= 1
+                cut(k)
             continue
         if tag in CLOSES or tag in BLOCKS_END_P:
             closing = CLOSES.get(tag, ())
-            for k in range(len(stack) - 1, 0, -1):
-                if stack[k].tag == "p" and tag in BLOCKS_END_P or stack[k].tag in closing:
-                    del stack[k:]
-                    break
-                if stack[k].tag not in INLINE and stack[k].tag not in closing and stack[k].tag not in ("td", "th", "tr"):
-                    break
+            if is_open["p"] and tag in BLOCKS_END_P or any(is_open[c] for c in closing):
+                for k in range(len(stack) - 1, 0, -1):
+                    if stack[k].tag == "p" and tag in BLOCKS_END_P or stack[k].tag in closing:
+                        cut(k)
+                        break
+                    if stack[k].tag not in INLINE and stack[k].tag not in closing and stack[k].tag not in ("td", "th", "tr"):
+                        break
         attrs = m.group(3)
         node = Node(tag, stack[-1].noise or _noise(tag, attrs) and tag not in ("html", "body"), stack[-1].inside or tag in ("article", "main"), f"{tag} {_classes(attrs)}")
         stack[-1].parts.append(node)
         if tag in RAW:
             end = _RAW_END[tag].search(markup, at)
             at = end.end() if end else n
-        elif tag not in VOID and not attrs.rstrip().endswith("/"):
+        elif tag not in VOID:  # a slash at the end means nothing on ordinary elements
             stack.append(node)
-        elif tag not in VOID and attrs.rstrip().endswith("/") and tag not in ("svg", "math"):
-            stack.append(node)  # a slash means nothing on ordinary elements
+            is_open[tag] += 1
     return root
 
 
@@ -249,80 +269,122 @@ def _layout(found: list[Block]) -> bytes:
     return _digest("/".join(path).encode(), "|".join(kinds).encode())
 
 
-def places(found: list[Block]) -> list[list[tuple[int, int]]]:
-    """Of each block outside <article> and <main>: (place, place with this text), in its layout and in any."""
-    if all(f.inside for f in found):
-        return [[] for _ in found]
-    layout, out = _layout(found), []
+def places(found: list[Block]) -> list[list[int]]:
+    """Of each block the places it can be matched at, each with its text."""
+    out = []
     for f in found:
-        if f.inside:
-            out.append([])
-            continue
         nth = (f.nth, f.nth - f.place.texts)
-        at = {_digest(g, b"%d" % i, m, b"%d" % nth[i % 2]) for g in (layout, b"") for i, m in enumerate(_marks(f.place))}
         text = f.text.encode("utf-8", "surrogatepass")
-        out.append([(_number(a), _number(_digest(a, text))) for a in sorted(at)])
+        out.append(sorted({_number(_digest(b"%d" % i, m, b"%d" % nth[i % 2], text)) for i, m in enumerate(_marks(f.place))}))
     return out
 
 
-def evidence(found: list[Block]) -> list[tuple[int, int, int]]:
-    """(place, place with text, page) of a page; the page is named by its two longest texts beside the block's own."""
-    longest = sorted({f.text for f in found}, key=lambda t: (-len(t), t))[:3]
-    code = {t: t.encode("utf-8", "surrogatepass") for t in longest}
-    rest = lambda own: _number(_digest(*[code[t] for t in longest if t != own][:2]))
-    other, name = rest(None), {t: rest(t) for t in longest}
-    return [(a, m, name.get(f.text, other)) for f, at in zip(found, places(found) if found else [], strict=True) for a, m in at]
+def texts(found: list[Block]) -> list[int]:
+    return [_number(_digest(f.text.encode("utf-8", "surrogatepass"))) for f in found]
+
+
+def evidence(found: list[Block]) -> list[tuple]:
+    """(text, its places, layout, page, two longest other texts, marked as content) of the blocks of a page."""
+    own = texts(found)
+    page, layout = _number(_digest(*[t.to_bytes(8, "big", signed=True) for t in own])), _number(_layout(found))
+    longest = [t for _, t in sorted({(-len(f.text), t) for f, t in zip(found, own, strict=True)})[:3]]
+    heads = {f.text for f in found if f.place.tag == "h1"}
+    out = []
+    for f, t, at in zip(found, own, places(found), strict=True):
+        names = [x for x in longest if x != t][:2]
+        out.append((t, at, layout, page, *names, *[None] * (2 - len(names)), f.inside or f.text in heads))
+    return out
 
 
-def induce(pages: list[str]) -> tuple[set[int], list[str]] | None:
-    """A host's wrapper: the template's places with their texts, and the texts to read; None without a template."""
-    each = [blocks(parse(p)) for p in pages]
-    seen = {e for found in each for e in evidence(found)}
-    have, agree = Counter(a for a, _ in {(a, page) for a, _, page in seen}), Counter((a, m) for a, m, _ in seen)
-    template = {m for (a, m), n in agree.items() if n >= MIN_PAGES and 2 * n >= have[a]}
-    texts = {f.text for found in each for f, at in zip(found, places(found), strict=True) if any(m in template for _, m in at)}
-    return (template, sorted(texts)) if template else None
+def induce(pages: list[str]) -> set[int]:
+    """A host's template from pages at hand, as induce_wrappers() finds it: the reference for tests and small inputs."""
+    each = [f for f in (blocks(parse(p)) for p in pages) if f]
+    seen = {(mark, *e[2:]) for found in each for e in evidence(found) for mark in e[1]}
+    of_layout = Counter(layout for layout, _ in {e[2:4] for found in each for e in evidence(found)})
+    by_mark: dict[int, list] = defaultdict(list)
+    for e in seen:
+        by_mark[e[0]].append(e)
+    out = set()
+    for mark, rows in by_mark.items():
+        enough = len(rows) >= MIN_PAGES + max(r[5] for r in rows) and 2 * len(rows) > sum(of_layout[x] for x in {r[1] for r in rows})
+        names = [{r[k] for r in rows if r[k] is not None} for k in (3, 4)]
+        if enough and len(names[0]) > 1 and len(names[1]) != 1:
+            out.add(mark)
+    return out
 
 
-def main_text(markup: str | None, wrapper: tuple | None = None) -> str:
-    """The page's content blocks, joined by newlines."""
+def main_text(markup: str | None, template: set[int] | frozenset[int] | None = None) -> str:
+    """What stands in the page's slots, joined by newlines."""
     found = blocks(parse(markup)) if markup else []
-    articles = [f for f in found if f.inside]
-    if wrapper and found and not articles:
-        template = wrapper[0]
-        found = [f for f, at in zip(found, places(found), strict=True) if not any(m in template for _, m in at)]
-    return "\n".join(f.text for f in (articles or found))
+    if template:
+        found = [f for f, at in zip(found, places(found), strict=True) if template.isdisjoint(at)]
+    return "\n".join(f.text for f in ([f for f in found if f.inside] or found))
 
 
-def induce_wrappers(pages: DataFrame) -> DataFrame:
-    """(_host, mark): the template places of each host of rows (host, html), over all its pages; written table."""
+def _rows(pages: DataFrame, make, schema: pa.Schema, ddl: str) -> DataFrame:
+    """make(blocks) -> rows, behind the host's number, for each page of (_host, html) that has blocks."""
 
     def run(batches):
         for b in batches:
-            out = [(h, *e) for h, markup in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True) for e in evidence(blocks(parse(markup)))]
-            cols = list(zip(*out, strict=True)) or [[], [], [], []]
-            yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.string())] + [pa.array(c, pa.int64()) for c in cols[1:]], names=["_host", "place", "mark", "page"])
+            out = []
+            for host, markup in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                found = blocks(parse(markup))
+                if found:
+                    out += [(host, *r) for r in make(found)]
+            cols = list(zip(*out, strict=True)) or [[] for _ in schema]
+            yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(cols, schema, strict=True)], schema=schema)
+
+    return pages.mapInArrow(run, ddl)
 
-    known = pages.where((F.col("host") != "") & F.col("html").isNotNull()).select("host", "html")
-    seen = materialize(known.mapInArrow(run, "_host string, place long, mark long, page long").distinct(), "places")
-    have = seen.select("_host", "place", "page").distinct().groupBy("_host", "place").agg(F.count("*").alias("have"))
-    agree = seen.groupBy("_host", "place", "mark").agg(F.count("*").alias("agree")).where(F.col("agree") >= MIN_PAGES)
-    return materialize(agree.join(have, ["_host", "place"]).where(2 * F.col("agree") >= F.col("have")).select("_host", "mark").distinct(), "wrappers")
+
+def _bounded(df: DataFrame) -> DataFrame:
+    """df, a written table, broadcast if it has few rows."""
+    return F.broadcast(df) if df.count() <= BROADCAST_ROWS else df
+
+
+def induce_wrappers(pages: DataFrame) -> DataFrame:
+    """(_host, mark): the template of each host of rows (_host, html), over all its pages; written table."""
+    long, flag = pa.int64(), pa.bool_()
+
+    def named(found):
+        own = texts(found)
+        page, layout = _number(_digest(*[t.to_bytes(8, "big", signed=True) for t in own])), _number(_layout(found))
+        return [(0, layout, page), *((1, t, page) for t in set(own))]
+
+    schema = pa.schema([("_host", long), ("what", pa.int32()), ("key", long), ("page", long)])
+    # of layouts the pages are counted; of texts it matters only that there are two
+    seen = _rows(pages, named, schema, "_host long, what int, key long, page long")
+    grouped = seen.groupBy("_host", "what", "key", F.when(F.col("what") == 0, F.col("page")).alias("_page")).agg(F.min("page").alias("a"), F.max("page").alias("b"))
+    grouped = materialize(grouped.where("what = 0 OR a < b"), "recurring")
+    of_layout = grouped.where("what = 0").groupBy("_host", F.col("key").alias("layout")).agg(F.count("*").alias("of_layout"))
+    recurring = materialize(grouped.where("what = 1").select(F.xxhash64("_host", "key").alias("_text")), "texts")
+
+    schema = pa.schema([("_host", long), ("text", long), ("marks", pa.list_(long)), ("layout", long), ("page", long), ("n1", long), ("n2", long), ("marked", flag)])
+    where = _rows(pages, evidence, schema, "_host long, text long, marks array<long>, layout long, page long, n1 long, n2 long, marked boolean")
+    where = where.join(_bounded(recurring), F.xxhash64("_host", "text") == F.col("_text"), "left_semi")
+    where = where.select("_host", F.explode("marks").alias("mark"), "layout", "page", "n1", "n2", "marked").distinct()
+    ends = [e for k in ("n1", "n2") for e in (F.min(k).alias(f"{k}_a"), F.max(k).alias(f"{k}_b"))]
+    by_layout = where.groupBy("_host", "mark", "layout").agg(F.count("*").alias("agree"), F.max("marked").alias("marked"), *ends)
+    ends = [e for k in ("n1", "n2") for e in (F.min(f"{k}_a").alias(f"{k}_a"), F.max(f"{k}_b").alias(f"{k}_b"))]
+    marks = by_layout.join(of_layout, ["_host", "layout"]).groupBy("_host", "mark").agg(F.sum("agree").alias("agree"), F.sum("of_layout").alias("pages"), F.max("marked").alias("marked"), *ends)
+    unlike = (F.col("n1_a") < F.col("n1_b")) & F.coalesce(F.col("n2_a") < F.col("n2_b"), F.lit(True))
+    return materialize(marks.where((F.col("agree") >= MIN_PAGES + F.col("marked").cast("int")) & (2 * F.col("agree") > F.col("pages")) & unlike).select("_host", "mark"), "wrappers")
 
 
 def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
     """page_id, url, text, n_chars of every page."""
     pages.sparkSession.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "128")
     pages = pages.select(F.col(id_col).alias("page_id"), F.col(url_col).cast("string").alias("url"), F.col(html_col).cast("string").alias("html"))
-    pages = pages.withColumn("host", F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)", 1)))
-    marks = induce_wrappers(pages)
-    wrappers = marks.groupBy("_host").agg(F.collect_list("mark").alias("template"))  # a host's layouts, not its pages
-    side = F.broadcast(wrappers) if marks.count() <= BROADCAST_PLACES else wrappers
+    host = F.lower(F.regexp_extract(F.coalesce("url", F.lit("")), r"^[A-Za-z][A-Za-z0-9+.-]*://(?:[^/?#@]*@)?([^/?#:]*)", 1))
+    pages = pages.withColumn("host", F.when(host != "", F.xxhash64(host)))
+    marks = induce_wrappers(pages.where("host IS NOT NULL AND html IS NOT NULL").select(F.col("host").alias("_host"), "html"))
+    wrappers = marks.groupBy("_host").agg(F.collect_list("mark").alias("template"))  # a host's constants, not its pages
+    side = F.broadcast(wrappers) if marks.count() <= BROADCAST_ROWS else wrappers
     joined = pages.join(side, F.col("host") == F.col("_host"), "left").select("page_id", "url", "html", "template")
 
     def run(batches):
         for b in batches:
-            out = [main_text(h, None if t is None else (frozenset(t),)) for h, t in zip(b.column(2).to_pylist(), b.column(3).to_pylist(), strict=True)]
+            out = [main_text(h, None if t is None else frozenset(t)) for h, t in zip(b.column(2).to_pylist(), b.column(3).to_pylist(), strict=True)]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(out, pa.string()), pa.array([len(t) for t in out], pa.int64())], names=["page_id", "url", "text", "n_chars"])
 
     return joined.mapInArrow(run, f"page_id {dict(pages.dtypes)['page_id']}, url string, text string, n_chars long")
