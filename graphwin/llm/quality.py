@@ -4,7 +4,8 @@ Every document is measured by its own rules. Failures are then summed per host,
 prior fitted to all hosts by moments, and hosts whose shrunk rate stays above a threshold, with enough evidence, are
 rejected with all their documents.
 
-Null and empty texts have no words and fail the rules. A null host is a host of its own. Repeated rows count each.
+Null and empty texts have no words and fail the rules. A null host is a host of its own. Repeated rows count each. Columns
+named like a result are replaced; all others pass, whatever their names. An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -18,7 +19,6 @@ from graphwin.session import materialize
 
 SPACE = r"[\x20\x09-\x0D]+"
 MIN_WORDS, MAX_REPEATED_PERCENT, WINDOW = 50, 50, 3
-_INDEX_BITS = 24
 
 
 @dataclass(frozen=True)
@@ -34,21 +34,22 @@ def measured(docs: DataFrame, text_col: str = "text") -> DataFrame:
     """docs with n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words and base_failed; same-named columns are replaced."""
     names = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed")
     docs = docs.drop(*names)
-    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    words = F.filter(F.split(text, SPACE), lambda w: w != "")
-    lines = F.filter(F.split(text, "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))
-    out = docs.withColumn("_words", words).withColumn("_lines", lines)
-    out = out.withColumn("n_words", F.size("_words").cast("long")).withColumn("_hash", _window_hashes(F.col("_words")))
-    out = out.withColumn("_again", F.size("_hash") > F.size(F.array_distinct("_hash")))
-    out = out.withColumn("_at", F.when(F.col("_again"), _packed(F.col("_hash"))))
-    out = out.withColumn("_at", F.when(F.col("_again"), _repeated_starts(F.col("_at"), F.col("_hash"))))
-    return out.select(
-        *docs.columns, "n_words",
-        F.coalesce(F.length(F.regexp_replace(text, SPACE, "")), F.lit(0)).cast("long").alias("word_chars"),
+    rows = docs.select(F.struct(*docs.columns).alias("_doc"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("_text"))
+    text = F.col("_text")
+    rows = rows.withColumn("_words", F.filter(F.split(text, SPACE), lambda w: w != "")).withColumn("_lines", F.filter(F.split(text, "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]")))
+    rows = rows.withColumn("_hash", _window_hashes(F.col("_words")))
+    rows = rows.withColumn("_again", F.size("_hash") > F.size(F.array_distinct("_hash")))
+    rows = rows.withColumn("_at", F.when(F.col("_again"), F.array_sort(F.transform("_hash", lambda h, i: F.struct(h.alias("h"), i.alias("i"))))))
+    rows = rows.withColumn("_at", F.when(F.col("_again"), _repeated_starts(F.col("_at"), F.col("_words"))))
+    n_words = F.size("_words").cast("long")
+    n_repeat = F.when(F.col("_again"), _covered(F.col("_at"))).otherwise(0).cast("long")
+    out = rows.select(
+        "_doc", n_words.alias("n_words"), F.coalesce(F.length(F.regexp_replace(text, SPACE, "")), F.lit(0)).cast("long").alias("word_chars"),
         (F.length(text) - F.length(F.translate(text, "#*$%&|<>", ""))).cast("long").alias("n_symbols"),
-        (F.size("_lines") - F.size(F.array_distinct("_lines"))).cast("long").alias("n_dup_lines"),
-        F.when(F.col("_again"), _covered(F.col("_at"))).otherwise(0).cast("long").alias("n_repeat_words"),
-    ).withColumn("base_failed", (F.col("n_words") < MIN_WORDS) | (F.col("n_repeat_words") * 100 > F.col("n_words") * MAX_REPEATED_PERCENT))
+        (F.size("_lines") - F.size(F.array_distinct("_lines"))).cast("long").alias("n_dup_lines"), n_repeat.alias("n_repeat_words"),
+    )
+    failed = (F.col("n_words") < MIN_WORDS) | (F.col("n_repeat_words") * 100 > F.col("n_words") * MAX_REPEATED_PERCENT)
+    return out.select("_doc.*", *names[:-1], failed.alias("base_failed"))
 
 
 def _window_hashes(words: Column) -> Column:
@@ -57,24 +58,16 @@ def _window_hashes(words: Column) -> Column:
     return F.when(n >= WINDOW, F.transform(F.sequence(F.lit(1), n - (WINDOW - 1)), lambda i: F.xxhash64(F.element_at(words, i), F.element_at(words, i + 1), F.element_at(words, i + 2)))).otherwise(F.array().cast("array<bigint>"))
 
 
-def _packed(hashes: Column) -> Column:
-    """Sorted longs: the hash's upper bits, then the window's number. Longs sort without comparing boxed rows."""
-    return F.sort_array(F.transform(hashes, lambda h, i: F.shiftleft(F.shiftright(h, _INDEX_BITS), _INDEX_BITS).bitwiseOR(i.cast("long"))))
-
-
-def _repeated_starts(packed: Column, hashes: Column) -> Column:
-    """Sorted numbers of the windows whose whole hash occurs again: equal hashes stand next to each other, or one apart
-    where a different hash shares the upper bits."""
-    low = F.lit((1 << _INDEX_BITS) - 1).cast("long")
-    n = F.size(packed)
-    number = lambda x: x.bitwiseAND(low).cast("int")
+def _repeated_starts(placed: Column, words: Column) -> Column:
+    """Sorted numbers of the windows that occur again, from (hash, number) sorted by hash: equal hashes stand next to each
+    other, and their words are compared."""
 
     def same(x: Column, j: Column) -> Column:
-        other = F.get(packed, j)
-        return (F.shiftright(x, _INDEX_BITS) == F.shiftright(other, _INDEX_BITS)) & (F.get(hashes, number(x)) == F.get(hashes, number(other)))
+        other = F.get(placed, j)
+        alike = [F.get(words, x["i"] + k) == F.get(words, other["i"] + k) for k in range(WINDOW)]
+        return F.coalesce((x["h"] == other["h"]) & alike[0] & alike[1] & alike[2], F.lit(False))
 
-    near = lambda x, i: F.coalesce(same(x, i - 1), F.lit(False)) | F.coalesce(same(x, i + 1), F.lit(False)) | F.coalesce(same(x, i - 2), F.lit(False)) | F.coalesce(same(x, i + 2), F.lit(False))
-    return F.sort_array(F.transform(F.filter(packed, near), lambda x: number(x)))
+    return F.array_sort(F.transform(F.filter(placed, lambda x, i: same(x, i - 1) | same(x, i + 1)), lambda x: x["i"]))
 
 
 def _covered(starts: Column) -> Column:
