@@ -1,8 +1,9 @@
 """Chat rendering with a loss mask from token offsets.
 
-A conversation becomes one string of turns, each `<|turn|>role<|text|>text<|end|>`. The markers are special tokens of a
-copy of the tokenizer, so no token reaches over a turn's border. The string is encoded once with offsets; a turn's span
-is laid over the sorted token spans by binary search, and the tokens of assistant texts carry loss.
+A conversation becomes one string of turns, each `<|turn|>role<|text|>text<|end|>`. The markers are special tokens behind the
+vocabulary, so no token reaches over a turn's border. The string is encoded once with offsets; a turn's span is laid over
+the sorted token spans by binary search, and the tokens of assistant texts carry loss. Ids and offsets equal those of the
+`tokenizers` library with the 50k byte-level BPE file and the markers added as special tokens (tests compare them).
 
 Control strings inside roles and texts (also those of other common templates) get one backslash after their first
 character, and control strings already written with backslashes get one more, so removing one restores the text.
@@ -19,15 +20,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from graphwin.llm.tokens import encoder
+
 TURN, TEXT, END = "<|turn|>", "<|text|>", "<|end|>"
 # Control strings of this and of other common templates.
 CONTROL = ("<|turn|>", "<|text|>", "<|end|>", "<|endoftext|>", "<|im_start|>", "<|im_end|>", "<s>", "</s>", "[INST]", "[/INST]", "<<SYS>>", "<</SYS>>")
 _TAILS = "|".join(re.escape(c[1:]) for c in CONTROL)
 _ESCAPE = re.compile(rf"([<\[])(\\*)(?=(?:{_TAILS}))")
 _UNESCAPE = re.compile(rf"([<\[])\\(\\*)(?=(?:{_TAILS}))")
+_MARKERS = re.compile(r"(<\|turn\|>|<\|text\|>|<\|end\|>)")
 _PARSE = re.compile(r"<\|turn\|>(.*?)<\|text\|>(.*?)<\|end\|>", re.S)
 ROLE_WITH_LOSS = "assistant"
-_tokenizers: dict[str, object] = {}
 
 
 def escape(text: str) -> str:
@@ -66,58 +69,54 @@ def token_mask(starts: np.ndarray, ends: np.ndarray, spans: list[tuple[int, int]
 def masked_text(formatted: str, starts: np.ndarray, ends: np.ndarray, mask: np.ndarray) -> list[str]:
     """Text under each loss span, read back from the tokens' offsets (several tokens may share a character)."""
     out = []
-    for k in np.unique(mask[mask >= 0]):
-        own = np.flatnonzero(mask == k)
-        parts, at = [], -1
-        for a, b in zip(starts[own], ends[own], strict=True):
-            a = max(int(a), at)
-            if b > a:
-                parts.append(formatted[a:b])
-                at = int(b)
-        out.append("".join(parts))
+    at = np.flatnonzero(mask >= 0)
+    for own in np.split(at, np.flatnonzero(np.diff(mask[at])) + 1) if len(at) else []:
+        upto = np.maximum.accumulate(ends[own])
+        cuts = np.flatnonzero(starts[own][1:] > upto[:-1]) + 1  # tokens that don't touch what came before
+        out.append("".join(formatted[starts[own[a]] : upto[b - 1]] for a, b in zip([0, *cuts], [*cuts, len(own)], strict=True)))
     return out
 
 
-def default_tokenizer() -> str:
-    import public_tokenizers
-
-    return str(public_tokenizers.path("byte_bpe_50k.json"))
-
-
-def _tokenizer(path: str | None):
-    key = path or default_tokenizer()
-    if key not in _tokenizers:
-        from tokenizers import AddedToken, Tokenizer, pre_tokenizers
-
-        t = Tokenizer.from_file(key)
-        t.pre_tokenizer = pre_tokenizers.ByteLevel(add_prefix_space=False, trim_offsets=False)
-        t.add_special_tokens([AddedToken(m, special=True, normalized=False) for m in (TURN, TEXT, END)])
-        _tokenizers[key] = t
-    return _tokenizers[key]
+def encode(formatted: str, ranks_path: str | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """ids, and the first and last (exclusive) character of each token; a token that holds part of a character has it."""
+    enc = encoder(ranks_path)
+    ids = []
+    for part in _MARKERS.split(formatted):
+        if part in (TURN, TEXT, END):
+            ids.append(np.array([enc.vocabulary + (TURN, TEXT, END).index(part)], "<u4"))
+        elif part:
+            ids.append(np.frombuffer(enc.ids(part), "<u4"))
+    if not ids:
+        return (np.empty(0, np.int32),) * 3
+    whole = np.concatenate(ids)
+    ends = np.cumsum(np.append(enc.lengths, [len(TURN), len(TEXT), len(END)])[whole])
+    starts = np.append(0, ends[:-1])
+    if not formatted.isascii():
+        begun = np.cumsum((np.frombuffer(formatted.encode("utf-8", "surrogatepass"), np.uint8) & 0xC0) != 0x80)
+        starts, ends = begun[starts] - 1, begun[ends - 1]
+    return whole.astype(np.int32), starts.astype(np.int32), ends.astype(np.int32)
 
 
 SCHEMA = pa.schema([("conv_id", pa.int64()), ("n_turns", pa.int64()), ("formatted", pa.string()), ("ids", pa.list_(pa.int32())), ("starts", pa.list_(pa.int32())), ("ends", pa.list_(pa.int32())), ("loss_span", pa.list_(pa.int32()))])
 
 
-def format_conversations(rows: DataFrame, tokenizer_path: str | None = None) -> DataFrame:
+def format_conversations(rows: DataFrame, ranks_path: str | None = None) -> DataFrame:
     """conv_id, n_turns, formatted, ids, starts, ends, loss_span (per token, -1 without loss).
 
-    Conversations stream by in sorted partitions: a task holds one conversation at a time. Extra columns are ignored;
-    rows without conv_id form one conversation; an empty table gives no rows.
+    Conversations stream by in sorted partitions: a task holds one conversation at a time. Extra columns are ignored; a
+    row without conv_id is a conversation of its own, wherever it lies; an empty table gives no rows.
     """
     rows.sparkSession.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "1024")
     rows = rows.select(F.col("conv_id").cast("long").alias("conv_id"), F.col("turn").cast("long").alias("turn"), F.coalesce(F.col("role").cast("string"), F.lit("")).alias("role"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    dealt = rows.repartition("conv_id").sortWithinPartitions("conv_id", "turn", "role", "text")
+    rows = rows.withColumn("_deal", F.coalesce("conv_id", F.monotonically_increasing_id()))
+    dealt = rows.repartition("_deal").sortWithinPartitions("conv_id", "turn", "role", "text").drop("_deal")
 
     def encoded(convs: list[tuple[int, list[tuple[str, str]]]]):
-        tok = _tokenizer(tokenizer_path)
-        made = [render(turns) for _, turns in convs]
         cols: list[list] = [[] for _ in SCHEMA]
-        for (conv, turns), (formatted, spans) in zip(convs, made, strict=True):
-            e = tok.encode(formatted, add_special_tokens=False)
-            offsets = np.array(e.offsets, np.int32).reshape(-1, 2)
-            mask = token_mask(offsets[:, 0], offsets[:, 1], spans)
-            for c, v in zip(cols, (conv, len(turns), formatted, e.ids, offsets[:, 0], offsets[:, 1], mask.astype(np.int32)), strict=True):
+        for conv, turns in convs:
+            formatted, spans = render(turns)
+            ids, starts, ends = encode(formatted, ranks_path)
+            for c, v in zip(cols, (conv, len(turns), formatted, ids, starts, ends, token_mask(starts, ends, spans).astype(np.int32)), strict=True):
                 c.append(v)
         return pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(cols, SCHEMA, strict=True)], schema=SCHEMA)
 
@@ -125,7 +124,7 @@ def format_conversations(rows: DataFrame, tokenizer_path: str | None = None) ->
         now, turns, ready = None, [], []
         for b in batches:
             for conv, _, role, text in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                if turns and conv != now:
+                if turns and (conv != now or conv is None):
                     ready.append((now, turns))
                     turns = []
                     if len(ready) >= 64:
@@ -145,12 +144,17 @@ def digests(formatted: DataFrame) -> DataFrame:
     """conv_id, n_turns, turns_sha256, loss_chars, loss_sha256, formatted_chars, all read back from the output."""
     schema = pa.schema([("conv_id", pa.int64()), ("n_turns", pa.int64()), ("turns_sha256", pa.string()), ("loss_chars", pa.int64()), ("loss_sha256", pa.string()), ("formatted_chars", pa.int64())])
 
+    def numbers(column: pa.ListArray) -> list[np.ndarray]:
+        values, at = column.values.to_numpy(), column.offsets.to_numpy()
+        return [values[a:b] for a, b in zip(at[:-1], at[1:], strict=True)]
+
     def run(batches):
         for b in batches:
             out: list[list] = [[] for _ in schema]
-            for conv, text, starts, ends, mask in zip(*(b.column(k).to_pylist() for k in ("conv_id", "formatted", "starts", "ends", "loss_span")), strict=True):
+            tokens = (numbers(b.column(k)) for k in ("starts", "ends", "loss_span"))
+            for conv, text, starts, ends, mask in zip(b.column("conv_id").to_pylist(), b.column("formatted").to_pylist(), *tokens, strict=True):
                 turns = parse(text)
-                loss = "".join(map(unescape, masked_text(text, np.array(starts), np.array(ends), np.array(mask, np.int64))))
+                loss = "".join(map(unescape, masked_text(text, starts, ends, mask)))
                 whole = "".join(f"{r}\n{t}\n" for r, t in turns).encode("utf-8", "surrogatepass")
                 for c, v in zip(out, (conv, len(turns), hashlib.sha256(whole).hexdigest(), len(loss), hashlib.sha256(loss.encode("utf-8", "surrogatepass")).hexdigest(), len(text)), strict=True):
                     c.append(v)

@@ -57,6 +57,10 @@ class PieceEncoder:
             ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
         self.model = tiktoken.Encoding("byte_bpe", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={SPECIAL: len(ranks)})
         self.table = _Table(self._plain)
+        self.vocabulary = len(ranks) + 1
+        self.lengths = np.zeros(self.vocabulary, np.int64)  # bytes of each id
+        for piece, i in [*ranks.items(), (SPECIAL.encode(), len(ranks))]:
+            self.lengths[i] = len(piece)
 
     def _plain(self, text: str) -> bytes:
         return np.asarray(self.model.encode_ordinary(text), dtype="<u4").tobytes()
