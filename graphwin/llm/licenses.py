@@ -25,11 +25,16 @@ BASE = {"gnu general public license": "gpl", "apache license": "apache", "cc by"
 TEMPLATES = (
     ("agpl-3.0", "licensed under the gnu affero general public license version 3", ("gnu affero general public license",)),
     ("apache-2.0", "licensed under the apache license version 2 0", ("apache license version 2 0",)),
+    ("apache-notice", "you may not use this file except in compliance with the license", ("use", "file except")),
+    ("artistic-2.0", "licensed under the artistic license 2 0", ("artistic license 2 0",)),
+    ("boost-1.0", "boost software license version 1 0", ("boost software license version 1 0",)),
     ("bsd", "redistribution and use in source and binary forms with or without modification are permitted", ("binary forms", "modification")),
     ("cc-by-4.0", "licensed under cc by 4 0", ("cc by 4 0",)),
     ("cc-by-nc-4.0", "licensed under cc by nc 4 0", ("cc by nc 4 0",)),
     ("cc-by-sa-4.0", "licensed under cc by sa 4 0", ("cc by sa 4 0",)),
     ("cc-by-4.0", "licensed under the creative commons attribution 4 0 international license", ("creative commons attribution 4 0",)),
+    ("cc0-1.0", "to the extent possible under law the author has waived all copyright and related or neighboring rights", ("extent possible under law", "waived", "copyright")),
+    ("epl-2.0", "made available under the terms of the eclipse public license 2 0", ("eclipse public license 2 0",)),
     ("gpl-2.0", "licensed under the gnu general public license version 2", ("gnu general public license version 2",)),
     ("gpl-3.0", "licensed under the gnu general public license version 3", ("gnu general public license version 3",)),
     ("gpl-notice", "redistribute it and or modify it under the terms of the gnu general public license as published by the free software foundation", ("gnu general public license", "free software foundation")),
@@ -39,9 +44,10 @@ TEMPLATES = (
     ("mit-name", "released under the mit license", ("mit license",)),
     ("mpl-2.0", "subject to the terms of the mozilla public license v 2 0", ("mozilla public license v 2 0",)),
     ("unlicense", "this is free and unencumbered software released into the public domain", ("unencumbered software released",)),
+    ("zlib", "this software is provided as is without any express or implied warranty in no event will the authors be held liable for any damages", ("implied warranty", "held liable")),
 )
 # Function words that carry no evidence.
-COMMON = frozenset("a and any are as for in is it into of or the this to with without".split())
+COMMON = frozenset("a all and any are as be for has in is it into may no not of or the this to will with without you".split())
 TOP = 8
 MIN_AGREEING = 3
 
@@ -136,14 +142,11 @@ names(template, label) AS (VALUES {_values([(k, t[0]) for k, t in enumerate(TEMP
 phrases(label, phrase, n) AS (VALUES {_values(phrases)}),
 o AS (SELECT doc_id, unnest(ws) AS w, unnest(range(0, len(ws))) AS p FROM d),
 b AS (SELECT d.doc_id, label, s - 1 AS p FROM (SELECT doc_id, ws, unnest(range(1, len(ws) + 1)) AS s FROM d) AS d, phrases WHERE array_to_string(ws[s : s + n - 1], ' ') = phrase),
-e AS (SELECT o.* FROM o SEMI JOIN post ON o.w = post.w),
-f AS (SELECT w, count(DISTINCT doc_id) AS df FROM e GROUP BY w),
-top AS (SELECT doc_id, w FROM (SELECT doc_id, w, row_number() OVER (PARTITION BY doc_id ORDER BY df, w) AS r FROM (SELECT DISTINCT doc_id, w FROM e) JOIN f USING (w)) WHERE r <= {TOP}),
-a AS (SELECT doc_id, template, p - place AS shift, count(DISTINCT w) AS agree FROM e JOIN top USING (doc_id, w) JOIN post USING (w) GROUP BY ALL),
+a AS (SELECT doc_id, template, p - place AS shift, count(DISTINCT w) AS agree FROM o JOIN post USING (w) GROUP BY ALL),
 sizes AS (SELECT template, count(DISTINCT w) AS n FROM post GROUP BY template),
 k AS (SELECT doc_id, template, shift FROM (SELECT DISTINCT doc_id, template, p - place AS shift, place FROM o JOIN keys USING (w))
       JOIN (SELECT template, count(*) AS need FROM keys GROUP BY template) USING (template) GROUP BY doc_id, template, shift HAVING count(*) = any_value(need)),
-v AS (SELECT doc_id, label, agree / least({TOP}, n) AS share FROM a JOIN k USING (doc_id, template, shift) JOIN sizes USING (template) JOIN names USING (template) WHERE agree >= least({MIN_AGREEING}, n)),
+v AS (SELECT doc_id, label, least(agree, {TOP}) / least({TOP}, n) AS share FROM a JOIN k USING (doc_id, template, shift) JOIN sizes USING (template) JOIN names USING (template) WHERE agree >= least({MIN_AGREEING}, n)),
 l AS (SELECT doc_id, string_agg(label, ',' ORDER BY label) AS labels FROM (SELECT doc_id, label FROM v UNION SELECT doc_id, label FROM b) GROUP BY doc_id),
 g AS (SELECT doc_id, count(*) AS n, min(p) AS lo, max(p) AS hi, string_agg(DISTINCT label, ',' ORDER BY label) AS labels FROM b GROUP BY doc_id),
 s AS (SELECT doc_id, max(share) AS share FROM v GROUP BY doc_id)
