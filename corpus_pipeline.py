@@ -13,6 +13,7 @@ from graphwin.llm import decontaminate, language, neardup, packing, quality
 from graphwin.session import materialize, ship
 
 CAPACITY = 2048
+SIMILAR_PERCENT = 80
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -34,9 +35,9 @@ def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near-duplicates: that with the smallest doc_id."""
+    """One document of each group of near-duplicates, linked at a similarity of 0.8 or more: that with the smallest doc_id."""
     ship(spark)
-    return neardup.drop_near_duplicates(docs)
+    return neardup.drop_near_duplicates(docs, SIMILAR_PERCENT)
 
 
 def benchmark_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
