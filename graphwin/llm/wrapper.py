@@ -8,9 +8,10 @@ template. All other places are its slots, and what stands in them is the content
 
 A block is constant if its text stands at one place on `MIN_PAGES` unlike pages and on most pages of the layouts in which
 it does; one page more is asked for where the markup speaks for content (<article>, <main>, the text of an <h1>). Pages are
-unlike if their two longest other texts both differ, so near copies of a page, which agree nearly everywhere, don't make
-content a template. Markup names come second: what they rule out (navigation, headers, footers, sidebars, notices, adverts,
-forms, scripts, comments) is not a slot, and if some slots lie in <article> or <main>, those are the content.
+unlike if one of their two longest other texts differs. Where a template would take most of a long page, the host holds near
+copies of it and not a wrapper of that size: such a page is read without (`COPY_CHARS`, `COPY_SHARE`). Markup names come second:
+what they rule out (navigation, headers, footers, sidebars, notices, adverts, forms, scripts, comments) is not a slot, and
+if some slots lie in <article> or <main>, those are the content.
 
 Counts merge in any order, so wrappers are learned from all pages by map-side combined aggregates and no host is gathered
 in one task: one pass finds texts that recur on a host, a second one their places. Null html gives an empty text; a host
@@ -32,6 +33,8 @@ from pyspark.sql import functions as F
 from graphwin.session import materialize
 
 MIN_PAGES = 2
+#: Characters, and share of a page, beyond which a template is a copy of the page.
+COPY_CHARS, COPY_SHARE = 400, 2 / 3
 #: Recurring texts and template places (8 bytes each) are broadcast up to this many, shuffled beyond.
 BROADCAST_ROWS = 1_000_000
 # HTML element classes.
@@ -224,6 +227,10 @@ def _number(digest: bytes) -> int:
     return int.from_bytes(digest, "big", signed=True)
 
 
+def _bytes(number: int) -> bytes:
+    return number.to_bytes(8, "big", signed=True)
+
+
 def _ranks(tags: list[str]) -> list[tuple[tuple[int, int], tuple[int, int]]]:
     """Of each sibling, from the front and from the back: its run of equal tags, its rank in the run."""
 
@@ -284,16 +291,13 @@ def texts(found: list[Block]) -> list[int]:
 
 
 def evidence(found: list[Block]) -> list[tuple]:
-    """(text, its places, layout, page, two longest other texts, marked as content) of the blocks of a page."""
+    """(text, its places, layout, page, the two longest other texts, marked as content) of the blocks of a page."""
     own = texts(found)
-    page, layout = _number(_digest(*[t.to_bytes(8, "big", signed=True) for t in own])), _number(_layout(found))
+    page, layout = _number(_digest(*[_bytes(t) for t in own])), _number(_layout(found))
     longest = [t for _, t in sorted({(-len(f.text), t) for f, t in zip(found, own, strict=True)})[:3]]
     heads = {f.text for f in found if f.place.tag == "h1"}
-    out = []
-    for f, t, at in zip(found, own, places(found), strict=True):
-        names = [x for x in longest if x != t][:2]
-        out.append((t, at, layout, page, *names, *[None] * (2 - len(names)), f.inside or f.text in heads))
-    return out
+    beside = {own: _number(_digest(*[_bytes(t) for t in longest if t != own][:2])) for own in {None, *longest}}
+    return [(t, at, layout, page, beside.get(t, beside[None]), f.inside or f.text in heads) for f, t, at in zip(found, own, places(found), strict=True)]
 
 
 def induce(pages: list[str]) -> set[int]:
@@ -306,9 +310,8 @@ def induce(pages: list[str]) -> set[int]:
         by_mark[e[0]].append(e)
     out = set()
     for mark, rows in by_mark.items():
-        enough = len(rows) >= MIN_PAGES + max(r[5] for r in rows) and 2 * len(rows) > sum(of_layout[x] for x in {r[1] for r in rows})
-        names = [{r[k] for r in rows if r[k] is not None} for k in (3, 4)]
-        if enough and len(names[0]) > 1 and len(names[1]) != 1:
+        enough = len(rows) >= MIN_PAGES + max(r[4] for r in rows) and 2 * len(rows) > sum(of_layout[x] for x in {r[1] for r in rows})
+        if enough and len({r[3] for r in rows}) > 1:
             out.add(mark)
     return out
 
@@ -317,7 +320,10 @@ def main_text(markup: str | None, template: set[int] | frozenset[int] | None = N
     """What stands in the page's slots, joined by newlines."""
     found = blocks(parse(markup)) if markup else []
     if template:
-        found = [f for f, at in zip(found, places(found), strict=True) if template.isdisjoint(at)]
+        slots = [f for f, at in zip(found, places(found), strict=True) if template.isdisjoint(at)]
+        whole = sum(len(f.text) for f in found)
+        taken = whole - sum(len(f.text) for f in slots)
+        found = found if taken >= COPY_CHARS and taken > COPY_SHARE * whole else slots
     return "\n".join(f.text for f in ([f for f in found if f.inside] or found))
 
 
@@ -348,7 +354,7 @@ def induce_wrappers(pages: DataFrame) -> DataFrame:
 
     def named(found):
         own = texts(found)
-        page, layout = _number(_digest(*[t.to_bytes(8, "big", signed=True) for t in own])), _number(_layout(found))
+        page, layout = _number(_digest(*[_bytes(t) for t in own])), _number(_layout(found))
         return [(0, layout, page), *((1, t, page) for t in set(own))]
 
     schema = pa.schema([("_host", long), ("what", pa.int32()), ("key", long), ("page", long)])
@@ -359,16 +365,14 @@ def induce_wrappers(pages: DataFrame) -> DataFrame:
     of_layout = grouped.where("what = 0").groupBy("_host", F.col("key").alias("layout")).agg(F.count("*").alias("of_layout"))
     recurring = materialize(grouped.where("what = 1").select(F.xxhash64("_host", "key").alias("_text")), "texts")
 
-    schema = pa.schema([("_host", long), ("text", long), ("marks", pa.list_(long)), ("layout", long), ("page", long), ("n1", long), ("n2", long), ("marked", flag)])
-    where = _rows(pages, evidence, schema, "_host long, text long, marks array<long>, layout long, page long, n1 long, n2 long, marked boolean")
+    schema = pa.schema([("_host", long), ("text", long), ("marks", pa.list_(long)), ("layout", long), ("page", long), ("beside", long), ("marked", flag)])
+    where = _rows(pages, evidence, schema, "_host long, text long, marks array<long>, layout long, page long, beside long, marked boolean")
     where = where.join(_bounded(recurring), F.xxhash64("_host", "text") == F.col("_text"), "left_semi")
-    where = where.select("_host", F.explode("marks").alias("mark"), "layout", "page", "n1", "n2", "marked").distinct()
-    ends = [e for k in ("n1", "n2") for e in (F.min(k).alias(f"{k}_a"), F.max(k).alias(f"{k}_b"))]
-    by_layout = where.groupBy("_host", "mark", "layout").agg(F.count("*").alias("agree"), F.max("marked").alias("marked"), *ends)
-    ends = [e for k in ("n1", "n2") for e in (F.min(f"{k}_a").alias(f"{k}_a"), F.max(f"{k}_b").alias(f"{k}_b"))]
-    marks = by_layout.join(of_layout, ["_host", "layout"]).groupBy("_host", "mark").agg(F.sum("agree").alias("agree"), F.sum("of_layout").alias("pages"), F.max("marked").alias("marked"), *ends)
-    unlike = (F.col("n1_a") < F.col("n1_b")) & F.coalesce(F.col("n2_a") < F.col("n2_b"), F.lit(True))
-    return materialize(marks.where((F.col("agree") >= MIN_PAGES + F.col("marked").cast("int")) & (2 * F.col("agree") > F.col("pages")) & unlike).select("_host", "mark"), "wrappers")
+    where = where.select("_host", F.explode("marks").alias("mark"), "layout", "page", "beside", "marked").distinct()
+    by_layout = where.groupBy("_host", "mark", "layout").agg(F.count("*").alias("agree"), F.max("marked").alias("marked"), F.min("beside").alias("a"), F.max("beside").alias("b"))
+    marks = by_layout.join(of_layout, ["_host", "layout"]).groupBy("_host", "mark").agg(F.sum("agree").alias("agree"), F.sum("of_layout").alias("pages"), F.max("marked").alias("marked"), F.min("a").alias("a"), F.max("b").alias("b"))
+    constant = (F.col("agree") >= MIN_PAGES + F.col("marked").cast("int")) & (2 * F.col("agree") > F.col("pages")) & (F.col("a") < F.col("b"))
+    return materialize(marks.where(constant).select("_host", "mark"), "wrappers")
 
 
 def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
