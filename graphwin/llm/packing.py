@@ -6,8 +6,9 @@ lengths (at most `capacity` numbers) and not over the pieces. The pieces of a le
 of equal size, each by the rule for the block as a whole (n pieces turn n bins of one gap into n bins of another), and all
 open bins stay open to every later block. So the driver's work is bounded by lengths x BLOCKS whatever the corpus, and up
 to BLOCKS pieces of a length the rule is the sequential one, piece by piece. Long pieces go first, longest first; the
-short ones follow interleaved, each length spread evenly, as the rule is made for mixed arrivals. Pieces then find their
-place by their number among the pieces of their length.
+short ones follow interleaved, each length spread evenly, as the rule is made for mixed arrivals; of a few borders between
+long and short (`SHORT`) the one with the fewest bins stays. Pieces then find their place by their number among the pieces
+of their length.
 """
 
 from __future__ import annotations
@@ -26,9 +27,9 @@ from graphwin.llm.tokens import encoder, small_batches
 from graphwin.session import materialize
 
 #: Blocks that the pieces of one length are placed in.
-BLOCKS = 128
-#: Pieces below this share of the capacity are short.
-SHORT = 1 / 8
+BLOCKS = 64
+#: Pieces below this share of the capacity are short; each share is an order, and the one that needs fewest bins is taken.
+SHORT = (1 / 8, 1 / 4, 1.0)
 END_ID = 0
 
 
@@ -40,14 +41,14 @@ def cut(n: int, capacity: int) -> list[tuple[int, int]]:
     return [(0, first), *((s, capacity) for s in range(first, n, capacity))]
 
 
-def arrivals(histogram: dict[int, int], capacity: int, blocks: int = BLOCKS) -> list[tuple[int, int]]:
+def arrivals(histogram: dict[int, int], capacity: int, short: float, blocks: int = BLOCKS) -> list[tuple[int, int]]:
     """(length, pieces) in the order of placing, over the lengths below the capacity."""
     longs, shorts = [], []
     for length in sorted((n for n, c in histogram.items() if n < capacity and c), reverse=True):
         count = histogram[length]
         parts = min(count, blocks)
         sizes = [count * (k + 1) // parts - count * k // parts for k in range(parts)]
-        if length >= capacity * SHORT:
+        if length >= capacity * short:
             longs += [(length, n) for n in sizes]
         else:
             shorts += [((k + 0.5) / parts, -length, n) for k, n in enumerate(sizes)]
@@ -97,7 +98,7 @@ def sum_of_squares(order: list[tuple[int, int]], capacity: int) -> tuple[list[tu
 def packing_plan(histogram: dict[int, int], capacity: int, blocks: int = BLOCKS) -> pd.DataFrame:
     """Slots (length, first, sequence_id, offset, times): pieces number first .. first+times-1 of that length stand at
     offset of sequences sequence_id, sequence_id+1, ..."""
-    slots, made = sum_of_squares(arrivals(histogram, capacity, blocks), capacity)
+    slots, made = min((sum_of_squares(arrivals(histogram, capacity, short, blocks), capacity) for short in SHORT), key=lambda p: p[1])
     if full := histogram.get(capacity, 0):
         slots.append((capacity, made, 0, full))
     plan = pd.DataFrame(slots, columns=["length", "sequence_id", "offset", "times"]).astype("int64").sort_values(["length", "sequence_id"], kind="stable")
