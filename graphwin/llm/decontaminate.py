@@ -6,6 +6,10 @@ candidates. Tokens are ordered by how often they occur in the corpus: each windo
 bounded by position and length (the window must begin and end inside the document), and the candidate is verified word
 by word over a window-sized slice.
 
+How often a shingle occurs has to be counted over all documents, so their shingles meet the whole benchmark vocabulary once;
+the rarest-first prefix then decides which occurrences are looked at as candidates. Before anything is exploded, a table of
+one byte per slot of hashes (bounded size) drops the shingles that no item has, so a document's cost is linear in its words.
+
 Documents are read once. Each row gets a number when the occurrences are written, so repeated ids and repeated rows stay
 apart. A null or empty text has no words and no hits; an item without words has no windows; an empty benchmark leaves
 every document clean.
@@ -22,6 +26,8 @@ from graphwin.session import materialize
 WINDOW, SHINGLE = 10, 5
 #: The benchmark's distinct shingles are broadcast up to this many (16 bytes each), shuffled beyond.
 BROADCAST_SHINGLES = 500_000
+#: Slots of the table of known hashes: 2 ** of them at most, at least 16 a shingle while that fits.
+MAX_SLOT_BITS = 22
 
 
 def _hash(words: Column, at: Column, k: int) -> Column:
@@ -56,23 +62,30 @@ def hits(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, shingle: i
     positioned = materialize(positioned.select("item_id", "win", F.col("t.p").alias("off"), F.col("t.h").alias("h")), "benchmark")
     vocabulary = positioned.select("h").distinct()
 
-    # the first entry of every document carries its length; it stands for the document and joins with nothing
+    n_known = vocabulary.count()
+    bits = min(MAX_SLOT_BITS, max(10, (16 * n_known).bit_length()))
+    slot = lambda h: F.shiftrightunsigned(h, 64 - bits).cast("int")
+    table = bytearray(1 << bits)
+    for r in vocabulary.select(slot(F.col("h")).alias("s")).distinct().toLocalIterator():  # at most 2 ** MAX_SLOT_BITS small numbers
+        table[r["s"]] = 1
+    known = lambda h: F.substring(F.lit(bytes(table)), slot(h) + 1, F.lit(1)) == F.lit(b"\x01")
+
+    # the first entry of every document carries its row and length; it stands for the document and joins with nothing
     words = F.col("_w")
-    held = ["_id", "_doc"][: 1 + keep_row]
-    numbered = docs.select(F.monotonically_increasing_id().alias("_row"), F.col(id_col).alias("_id"), F.struct(*docs.columns if keep_row else [id_col]).alias("_doc"), alnum_words(F.col(text_col)).alias("_w"))
-    found = numbered.select("*", F.explode(F.concat(F.array(F.struct(F.lit(-1).alias("p"), F.lit(0).cast("long").alias("h"))), *[_shingles(words, k) for k in sizes])).alias("t"))
-    found = found.select("_row", *held, "_w", F.col("t.p").alias("p"), F.col("t.h").alias("_h"))
-    known = vocabulary.select(F.col("h").alias("_known"), F.lit(False).alias("_sentinel")).union(vocabulary.sparkSession.range(1).select(F.lit(0).cast("long"), F.lit(True)))
-    if vocabulary.count() <= BROADCAST_SHINGLES:
-        matched = found.join(F.broadcast(known), (F.col("_h") == F.col("_known")) & (F.col("_sentinel") == (F.col("p") < 0)))
-        lead = F.greatest(F.col("p") - (window - 1), F.lit(0))
-        stored = materialize(matched.select(
-            "_row", *[F.when(F.col("p") < 0, F.col(c)).alias(c) for c in held], F.size("_w").alias("n_words"), "p", F.col("_h").alias("h"), lead.alias("_lead"),
-            F.when(F.col("p") >= 0, F.slice("_w", lead + 1, F.lit(2 * window))).alias("_near"),
-        ), "occurrences")
-    else:  # a benchmark too large to broadcast: the shingles are shuffled, the documents' own rows are not
-        flat = materialize(found.select("_row", *[F.when(F.col("p") < 0, F.col(c)).alias(c) for c in held], F.size("_w").alias("n_words"), "p", F.col("_h").alias("h"), F.greatest(F.col("p") - (window - 1), F.lit(0)).alias("_lead"), F.when(F.col("p") >= 0, F.slice("_w", F.greatest(F.col("p") - (window - 1), F.lit(0)) + 1, F.lit(2 * window))).alias("_near")), "shingles")
-        stored = flat.where("p < 0").unionByName(flat.where("p >= 0").join(vocabulary, "h", "left_semi"))
+    lead = lambda p: F.greatest(p - (window - 1), F.lit(0))
+    numbered = docs.select(F.monotonically_increasing_id().alias("_row"), F.col(id_col).alias("_id"), *[F.struct(*docs.columns).alias("_doc")] * keep_row, alnum_words(F.col(text_col)).alias("_w"))
+    held = F.struct("_id", *["_doc"] * keep_row, F.size("_w").alias("n_words"))
+    no_near, no_doc = F.lit(None).cast("array<string>"), F.lit(None).cast(numbered.select(held.alias("x")).schema["x"].dataType)
+    of_doc = F.array(F.struct(F.lit(-1).alias("p"), F.lit(0).cast("long").alias("h"), no_near.alias("near"), held.alias("held")))
+    of_size = [F.transform(F.filter(_shingles(words, k), lambda t: known(t["h"])), lambda t: F.struct(t["p"].alias("p"), t["h"].alias("h"), F.slice(words, lead(t["p"]) + 1, F.lit(2 * window)).alias("near"), no_doc.alias("held"))) for k in sizes]
+    found = numbered.select("_row", F.size("_w").alias("n_words"), F.explode(F.concat(of_doc, *of_size)).alias("t"))
+    found = found.select("_row", "n_words", F.col("t.p").alias("p"), F.col("t.h").alias("h"), lead(F.col("t.p")).alias("_lead"), F.col("t.near").alias("_near"), F.col("t.held._id").alias("_id"), *[F.col("t.held._doc").alias("_doc")] * keep_row)
+    if n_known <= BROADCAST_SHINGLES:
+        exact = F.broadcast(vocabulary.select(F.col("h").alias("_known"), F.lit(False).alias("_first")).union(vocabulary.sparkSession.range(1).select(F.lit(0).cast("long"), F.lit(True))))
+        stored = materialize(found.join(exact, (F.col("h") == F.col("_known")) & (F.col("_first") == (F.col("p") < 0)), "left_semi"), "occurrences")
+    else:  # a benchmark too large to broadcast: what passed the table is shuffled, the documents' own rows are not
+        flat = materialize(found, "shingles")
+        stored = flat.where("p < 0").unionByName(flat.where("p >= 0").join(vocabulary, "h", "left_semi").select(flat.columns))
     documents, occurrences = stored.where("p < 0"), stored.where("p >= 0")
 
     rarity = occurrences.groupBy("h").agg(F.count("*").alias("df"))
