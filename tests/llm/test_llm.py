@@ -166,7 +166,7 @@ def test_rule_is_the_sequential_one():
 def test_packing_plan(blocks):
     rnd = random.Random(2)
     hist = {n: rnd.randint(0, 300) for n in range(1, 60)} | {64: 500}
-    assert sorted((n, sum(k for m, k in packing.arrivals(hist, 64, blocks) if m == n)) for n in hist if n < 64 and hist[n]) == sorted((n, c) for n, c in hist.items() if n < 64 and c)
+    assert sorted((n, sum(k for m, k in packing.arrivals(hist, 64, 1 / 4, blocks) if m == n)) for n in hist if n < 64 and hist[n]) == sorted((n, c) for n, c in hist.items() if n < 64 and c)
     plan = packing.packing_plan(hist, 64, blocks)
     assert plan.groupby("length")["times"].sum().to_dict() == {n: c for n, c in hist.items() if c}
     fill = collections.Counter()
@@ -174,7 +174,7 @@ def test_packing_plan(blocks):
         for k in range(r.times):
             assert fill[r.sequence_id + k] == r.offset
             fill[r.sequence_id + k] += r.length
-    assert max(fill.values()) <= 64 and len(fill) <= sum(fill.values()) / 64 * (1.03 if blocks >= packing.BLOCKS else 1.3) + 2
+    assert max(fill.values()) <= 64 and len(fill) <= sum(fill.values()) / 64 * (1.06 if blocks >= packing.BLOCKS else 1.3)
     assert packing.packing_plan({}, 64).empty
 
 
@@ -321,10 +321,11 @@ def test_constants_inside_an_article_are_template():
 
 
 def test_near_copies_are_not_a_template():
-    body = [f"paragraph {j} of the one story that this host holds twice" for j in range(6)]
+    body = [f"paragraph {j} of the one story that this host holds twice, " * 3 for j in range(6)]
     page = lambda change: "<body><div>" + "".join(f"<p>{change if j == 2 else t}</p>" for j, t in enumerate(body)) + "</div></body>"
-    pages = [page("edited " * 30), page("short")]
-    assert wrapper.main_text(pages[1], wrapper.induce(pages)).split("\n") == [*body[:2], "short", *body[3:]]
+    for first in ("edited", "edited " * 60):  # also where the longest text is the one that was changed
+        pages = [page(first), page("short")]
+        assert wrapper.main_text(pages[1], wrapper.induce(pages)).split("\n") == [t.strip() for t in (*body[:2], "short", *body[3:])]
 
 
 @pytest.mark.parametrize(
