@@ -18,7 +18,10 @@ HOLISTIC = frozenset({"median", "percentile", "count_distinct", "mode", "collect
 
 @dataclass(frozen=True)
 class Agg:
-    """fn over attr. where: a SQL condition on members; by: an attribute whose values split the result into rows."""
+    """fn over attr. where: a SQL condition on members; by: an attribute whose values split the result into rows.
+
+    Null values count nowhere; a window without a value gives null, counts 0. Attributes may have any name that doesn't begin
+    with `_gw_`. Products and moments are doubles."""
 
     fn: str
     attr: str | None = None
@@ -83,39 +86,48 @@ def _one(agg_of: Callable, merge: Callable | None = None):
     return lambda a: [(agg_of(a._x(a.attr)), merge or agg_of)]
 
 
-def _sums(*of: Callable[[Column, Column], Column]):
-    """Partials that are sums over rows in which both attributes are known; powers in decimal, so order doesn't matter."""
-
-    def parts(a: Agg):
-        x = a._x(a.attr).cast("decimal(18,4)")
-        y = a._x(a.attr2).cast("decimal(18,4)") if a.attr2 else x
-        known = x.isNotNull() & y.isNotNull()
-        return [(F.sum(F.when(known, f(x, y))), F.sum) for f in of]
-
-    return parts
+def _moment_parts(a: Agg):
+    """n, sums, and second moments around each part's own means, found by the engine's stable aggregates, beside the sums of
+    n x mean x mean: all of them merge by adding up, and only the spread between parts is a difference of sums."""
+    x = a._x(a.attr).cast("double")
+    y = a._x(a.attr2).cast("double") if a.attr2 else x
+    known = x.isNotNull() & y.isNotNull()
+    x, y = F.when(known, x), F.when(known, y)
+    n = F.count(x).cast("double")
+    pairs = [(x, x)] + ([(x, y), (y, y)] if a.attr2 else [])
+    sums = [n, F.sum(x)] + ([F.sum(y)] if a.attr2 else [])
+    return [(c, F.sum) for c in sums + [F.covar_pop(p, q) * n for p, q in pairs] + [F.sum(p) * F.sum(q) / n for p, q in pairs]]
 
 
 def _moments(ddof: int, root: bool):
-    def final(a, n, sx, sxx):
-        n, sx, sxx = n.cast("double"), sx.cast("double"), sxx.cast("double")
-        v = F.when(n > ddof, (sxx - sx * sx / n) / (n - ddof))
-        return F.sqrt(F.greatest(v, F.lit(0.0))) if root else F.greatest(v, F.lit(0.0))
+    def final(a, n, sx, within, between):
+        v = F.when(n > ddof, F.greatest((within + between - sx * sx / n) / (n - ddof), F.lit(0.0)))
+        return F.sqrt(v) if root else v
 
-    return _sums(lambda x, y: F.lit(1), lambda x, y: x, lambda x, y: x * x), final
-
-
-_FIVE = _sums(lambda x, y: F.lit(1), lambda x, y: x, lambda x, y: y, lambda x, y: x * y, lambda x, y: x * x, lambda x, y: y * y)
+    return _moment_parts, final
 
 
 def _bivariate(kind: str):
-    def final(a, n, sx, sy, sxy, sxx, syy):
-        n, sx, sy, sxy, sxx, syy = (c.cast("double") for c in (n, sx, sy, sxy, sxx, syy))
-        cov, vx, vy = sxy - sx * sy / n, sxx - sx * sx / n, syy - sy * sy / n
+    def final(a, n, sx, sy, wxx, wxy, wyy, bxx, bxy, byy):
+        cov, vx, vy = wxy + bxy - sx * sy / n, wxx + bxx - sx * sx / n, wyy + byy - sy * sy / n
         if kind == "covar_pop":
             return cov / n
         return F.when((vx > 0) & (vy > 0), cov / F.sqrt(vx * vy)) if kind == "corr" else F.when(vx > 0, cov / vx)
 
-    return _FIVE, final
+    return _moment_parts, final
+
+
+def _geomean():
+    """Mean of logarithms; 0 with a zero and without a negative value, null with a negative one."""
+
+    def parts(a: Agg):
+        x = a._x(a.attr).cast("double")
+        return [(F.sum(F.when(x > 0, F.log(x))), F.sum), (F.count(x), F.sum), (F.count(F.when(x == 0, 1)), F.sum), (F.count(F.when(x < 0, 1)), F.sum)]
+
+    def final(a, logs, n, zeros, negatives):
+        return F.when((n > 0) & (negatives == 0), F.when(zeros > 0, F.lit(0.0)).otherwise(F.exp(logs / n)))
+
+    return parts, final
 
 
 def _vector(mean: bool):
@@ -148,8 +160,7 @@ FUNCTIONS: dict[str, tuple] = {
     "avg": (lambda a: [(F.sum(a._x(a.attr)), F.sum), (F.count(a._x(a.attr)), F.sum)], lambda a, s, n: F.when(n > 0, s / n)),
     "var_pop": _moments(0, False), "var_samp": _moments(1, False), "stddev_pop": _moments(0, True), "stddev_samp": _moments(1, True),
     "corr": _bivariate("corr"), "covar_pop": _bivariate("covar_pop"), "regr_slope": _bivariate("regr_slope"),
-    "product": (lambda a: [(F.sum(F.log(a._x(a.attr).cast("double"))), F.sum)], lambda a, s: F.exp(s)),
-    "geomean": (lambda a: [(F.sum(F.log(a._x(a.attr).cast("double"))), F.sum), (F.count(a._x(a.attr)), F.sum)], lambda a, s, n: F.when(n > 0, F.exp(s / n))),
+    "product": (_one(lambda x: F.product(x.cast("double"))), _same), "geomean": _geomean(),
     "min_by": (_ordered(F.min, F.min), lambda a, s: s["v"]), "max_by": (_ordered(F.max, F.max), lambda a, s: s["v"]), "top_n": (_top, _same),
     "approx_distinct": (lambda a: [(F.hll_sketch_agg(a._x(a.attr)), F.hll_union_agg)], lambda a, s: F.coalesce(F.hll_sketch_estimate(s), F.lit(0).cast("long"))),
     "vector_sum": _vector(False), "vector_mean": _vector(True),

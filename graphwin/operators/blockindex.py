@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 from graphwin.functions.aggregates import Agg
 from graphwin.functions.hashing import hash_columns
 from graphwin.model import HolisticAggregateError, KHop, PropertyGraph, Topological
-from graphwin.operators.direct import with_all_owners
+from graphwin.operators.direct import attributes, with_all_owners
 from graphwin.operators.reach import window_pairs
 from graphwin.session import discard, materialize
 
@@ -226,12 +226,10 @@ def refuse_holistic(aggs: list[Agg]) -> None:
 
 
 def block_partials(index: BlockIndex, graph: PropertyGraph, aggs: list[Agg]) -> DataFrame:
-    """(block_id, [category,] partials): each block is aggregated once, however many windows hold it."""
+    """(_gw_block, [category,] partials): each block is aggregated once, however many windows hold it."""
     by = aggs[0].by
-    whole = any(a.where for a in aggs)
-    cols = list(dict.fromkeys(c for a in aggs for c in a.columns if c != "id"))
-    attrs = graph.vertices.select(F.col("id").alias("member"), *(["*"] if whole else cols + ["id"] * any("id" in a.columns for a in aggs)))
-    return index.members.join(attrs, "member").groupBy("block_id", *[by] * bool(by)).agg(*[p for a in aggs for p in a.partials()])
+    members = index.members.select(F.col("block_id").alias("_gw_block"), F.col("member").alias("_gw_member"))
+    return members.join(attributes(graph, aggs, "_gw_member"), "_gw_member").groupBy("_gw_block", *[by] * bool(by)).agg(*[p for a in aggs for p in a.partials()])
 
 
 def block_query(index: BlockIndex, graph: PropertyGraph, aggs: list[Agg], owners: DataFrame | None = None) -> DataFrame:
@@ -239,8 +237,9 @@ def block_query(index: BlockIndex, graph: PropertyGraph, aggs: list[Agg], owners
     refuse_holistic(aggs)
     by = aggs[0].by
     links = index.links if owners is None else index.links.join(owners.select("owner").distinct(), "owner", "left_semi")
-    merged = links.join(block_partials(index, graph, aggs), "block_id").groupBy("owner", *[by] * bool(by)).agg(*[x for a in aggs for x in a.merges()])
-    out = merged.select(F.col("owner").alias("id"), *[by] * bool(by), *[a.final() for a in aggs])
+    links = links.select(F.col("owner").alias("_gw_owner"), F.col("block_id").alias("_gw_block"))
+    merged = links.join(block_partials(index, graph, aggs), "_gw_block").groupBy("_gw_owner", *[by] * bool(by)).agg(*[x for a in aggs for x in a.merges()])
+    out = merged.select(F.col("_gw_owner").alias("id"), *[by] * bool(by), *[a.final() for a in aggs])
     return out if by else with_all_owners(graph, out, aggs, owners)
 
 

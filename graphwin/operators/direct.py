@@ -12,18 +12,22 @@ from graphwin.model import KHop, PropertyGraph, Topological
 from graphwin.operators.reach import window_pairs
 
 
+def attributes(graph: PropertyGraph, aggs: list[Agg], key: str) -> DataFrame:
+    """The vertices' id as key, and the attributes that the aggregates read, under their own names. Keys of all plans begin
+    with `_gw_`, so an attribute may be called owner, member or v. A condition may read any attribute, also the id; Catalyst
+    prunes what it doesn't."""
+    read = list(dict.fromkeys(c for a in aggs for c in a.columns))
+    return graph.vertices.select(F.col("id").alias(key), *(["*"] if any(a.where for a in aggs) else read))
+
+
 def aggregate_pairs(graph: PropertyGraph, pairs: DataFrame, aggs: list[Agg], owners: DataFrame | None = None) -> DataFrame:
     """(id, [category,] values...) from window pairs; owners whose window is empty get the value of nothing."""
     by = aggs[0].by
-    read = list(dict.fromkeys(c for a in aggs for c in a.columns))
-    # a condition may read any attribute; Catalyst prunes what it doesn't
-    attrs = graph.vertices.select(F.col("id").alias("member"), *(["*"] if any(a.where for a in aggs) else read))
-    keys = ["owner"] + [by] * bool(by)
-    joined = pairs.join(attrs, "member")
+    joined = pairs.select(F.col("owner").alias("_gw_owner"), F.col("member").alias("_gw_member")).join(attributes(graph, aggs, "_gw_member"), "_gw_member")
     parts = [a for a in aggs if not a.holistic]
     whole = [a for a in aggs if a.holistic]
-    grouped = joined.groupBy(*keys).agg(*[p for a in parts for p in a.partials()], *[a.whole() for a in whole])
-    out = grouped.select(F.col("owner").alias("id"), *[by] * bool(by), *[a.final() for a in parts], *[a.alias for a in whole])
+    grouped = joined.groupBy("_gw_owner", *[by] * bool(by)).agg(*[p for a in parts for p in a.partials()], *[a.whole() for a in whole])
+    out = grouped.select(F.col("_gw_owner").alias("id"), *[by] * bool(by), *[a.final() for a in parts], *[a.alias for a in whole])
     return out if by else with_all_owners(graph, out, aggs, owners)
 
 
@@ -49,8 +53,8 @@ def propagate(graph: PropertyGraph, window: KHop, agg: Agg) -> DataFrame:
         raise ValueError(f"{agg.fn} isn't idempotent")
     if not window.include_self:
         raise ValueError("propagation can't leave out the owner")
-    arcs = graph.arcs_with_self(window.direction)
-    values = graph.vertices.groupBy("id").agg(*agg.partials())
+    arcs = graph.arcs_with_self(window.direction).toDF("_gw_src", "_gw_dst")
+    values = attributes(graph, [agg], "_gw_id").groupBy("_gw_id").agg(*agg.partials())
     for _ in range(window.k):
-        values = arcs.join(values, arcs["dst"] == values["id"]).groupBy(F.col("src").alias("id")).agg(*agg.merges())
-    return values.select("id", agg.final())
+        values = arcs.join(values, F.col("_gw_dst") == F.col("_gw_id")).groupBy(F.col("_gw_src").alias("_gw_id")).agg(*agg.merges())
+    return values.select(F.col("_gw_id").alias("id"), agg.final())

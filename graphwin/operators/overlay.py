@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from graphwin.functions.aggregates import Agg
 from graphwin.model import KHop, PropertyGraph, Topological
 from graphwin.operators.blockindex import BuildStats, refuse_holistic
-from graphwin.operators.direct import with_all_owners
+from graphwin.operators.direct import attributes, with_all_owners
 from graphwin.operators.reach import window_pairs
 from graphwin.session import materialize
 
@@ -114,18 +114,18 @@ def overlay_query(ov: Overlay, graph: PropertyGraph, aggs: list[Agg]) -> DataFra
     """Overlay nodes are evaluated iteration by iteration, then owners; all by joins and merges of partials."""
     refuse_holistic(aggs)
     by = aggs[0].by
-    names = [n for a in aggs for n in a.partial_names()]
     merges = [x for a in aggs for x in a.merges()]
-    values = graph.vertices.groupBy(F.col("id").alias("item"), *([F.col(by)] if by else [])).agg(*[p for a in aggs for p in a.partials()])
+    values = attributes(graph, aggs, "_gw_item").groupBy("_gw_item", *[by] * bool(by)).agg(*[p for a in aggs for p in a.partials()])
+    items = ov.items.select(F.col("node").alias("_gw_node"), F.col("item").alias("_gw_item"), F.col("iteration").alias("_gw_at"))
     top = ov.items.agg(F.max("iteration")).first()[0]
     for it in range(0 if top is None else top + 1):
-        got = ov.items.where(F.col("iteration") == it).select("node", "item").join(values, "item").groupBy("node", *[by] * bool(by)).agg(*merges)
-        values = values.union(got.withColumnRenamed("node", "item").select(values.columns))
+        got = items.where(F.col("_gw_at") == it).join(values, "_gw_item").groupBy("_gw_node", *[by] * bool(by)).agg(*merges)
+        values = values.union(got.withColumnRenamed("_gw_node", "_gw_item").select(values.columns))
         if it % 3 == 2:
             values = materialize(values, "overlay-values")
-    out = ov.lists.join(values, "item").groupBy("owner", *[by] * bool(by)).agg(*merges)
-    out = out.select(F.col("owner").alias("id"), *[by] * bool(by), *[a.final() for a in aggs])
-    assert names
+    lists = ov.lists.select(F.col("owner").alias("_gw_owner"), F.col("item").alias("_gw_item"))
+    out = lists.join(values, "_gw_item").groupBy("_gw_owner", *[by] * bool(by)).agg(*merges)
+    out = out.select(F.col("_gw_owner").alias("id"), *[by] * bool(by), *[a.final() for a in aggs])
     return out if by else with_all_owners(graph, out, aggs, None)
 
 
