@@ -2,6 +2,7 @@
 
 parent: (v, pid, level, card), pid the parent with the largest ancestor window (ties: least id), null for sources.
 delta: (v, member), the ancestors of v that are neither v nor its parent's ancestors nor the parent.
+jumps: [(v, p)], for each power r of `RADIX` the vertices 0, r, 2r, ... steps up v's parent path, short of RADIX x r.
 """
 
 from __future__ import annotations
@@ -15,16 +16,38 @@ from pyspark.sql.window import Window
 from graphwin.functions.aggregates import Agg
 from graphwin.model import PropertyGraph
 from graphwin.operators.blockindex import BuildStats, refuse_holistic
-from graphwin.operators.direct import with_all_owners
-from graphwin.operators.reach import ancestor_pairs, ancestor_windows_by_level, topo_levels
+from graphwin.operators.direct import attributes, with_all_owners
+from graphwin.operators.reach import ancestor_pairs, ancestor_windows_by_level, frontier_pairs, is_wide, levels_by_relaxing, topo_levels, topo_levels_by_peeling
 from graphwin.session import discard, materialize
 
 
+#: Steps up the parent path that one round of a query gathers, times those of the rounds before.
+RADIX = 4
+#: Rounds that one lazy plan may chain before it is cut.
+CHAIN = 4
+
+
 @dataclass
 class DeltaIndex:
     parent: DataFrame  # v, pid, level, card
     delta: DataFrame  # v, member
     stats: BuildStats = field(default_factory=BuildStats)
+    jumps: list[DataFrame] | None = None
+
+    def pointers(self) -> list[DataFrame]:
+        """The jumps; they depend on no attribute, so they are found once and serve every query."""
+        if self.jumps is None:
+            self.jumps, step = [], self.parent.where("pid IS NOT NULL").select("v", F.col("pid").alias("p"))
+            while not step.isEmpty():
+                row = materialize(step.select("v", "p", F.lit(1).alias("n")), "jump")
+                far = row
+                for n in range(2, RADIX + 1):
+                    far = far.join(row.select(F.col("v").alias("p"), F.col("p").alias("_to")), "p").select("v", F.col("_to").alias("p"), F.lit(n).alias("n"))
+                    row_n = far if n == 2 else row_n.union(far)
+                ahead = materialize(row_n, "jumps")
+                self.jumps.append(self.parent.select("v", F.col("v").alias("p")).union(row.select("v", "p")).union(ahead.where(F.col("n") < RADIX).select("v", "p")))
+                step = ahead.where(F.col("n") == RADIX).select("v", "p")
+        return self.jumps
 
     def save(self, path: str, as_ranges: bool = False) -> None:
         """as_ranges: runs of consecutive members become (start, length)."""
@@ -59,17 +82,25 @@ def window_delta(closure: DataFrame, parents: DataFrame) -> DataFrame:
     return mine.join(theirs, ["pid", "member"], "left_anti").select("v", "member")
 
 
-def build_delta_index(graph: PropertyGraph, method: str = "doubling") -> DeltaIndex:
-    """method `doubling` takes log-depth rounds; `level` goes through the levels and frees spent windows."""
+def build_delta_index(graph: PropertyGraph, method: str = "auto") -> DeltaIndex:
+    """method `doubling` takes log-depth rounds; `frontier` one a step of the shortest paths, for wide DAGs; `auto` one of
+    these by the number of edges; `level` goes through the levels and frees spent windows."""
     stats = BuildStats()
     import time
 
     began = time.time()
-    closure = ancestor_pairs(graph)
-    levels = topo_levels(graph, closure)
-    if method == "level":
+    if method == "auto":
+        method = "frontier" if is_wide(graph) else "doubling"
+    if method == "doubling":
+        closure = ancestor_pairs(graph)
+        levels = topo_levels(graph, closure)
+    elif method == "frontier":
+        closure = frontier_pairs(graph)
+        levels = levels_by_relaxing(graph)
+    elif method == "level":
+        levels = materialize(topo_levels_by_peeling(graph), "levels")
         closure = materialize(ancestor_windows_by_level(graph, levels).where("owner <> member"), "closure")
-    elif method != "doubling":
+    else:
         raise ValueError(f"unknown method {method}")
     stats.traverse_s = time.time() - began
     began = time.time()
@@ -78,43 +109,46 @@ def build_delta_index(graph: PropertyGraph, method: str = "doubling") -> DeltaIn
     parent = materialize(card.join(closest_parent(graph, card), "v", "left").select("v", "pid", "level", "card"), "pd_parent")
     delta = materialize(window_delta(closure, parent), "pd_delta")
     discard(closure)
+    index = DeltaIndex(parent, delta, stats)
+    index.pointers()
     stats.refine_s = time.time() - began
-    return DeltaIndex(parent, delta, stats)
+    return index
 
 
 def _local(index: DeltaIndex, graph: PropertyGraph, aggs: list[Agg]) -> DataFrame:
-    """(v, [category,] partials) over the vertex itself and its delta: one pass for all vertices, whatever their level."""
+    """(_gw_v, [category,] partials) over the vertex itself and its delta: one pass for all vertices, whatever their level."""
     by = aggs[0].by
-    attrs = graph.vertices.withColumn("member", F.col("id"))
-    own = index.parent.select("v", F.col("v").alias("member")).union(index.delta.select("v", "member"))
-    return own.join(attrs, "member").groupBy("v", *[by] * bool(by)).agg(*[p for a in aggs for p in a.partials()])
+    own = index.parent.select("v", F.col("v").alias("member")).union(index.delta.select("v", "member")).toDF("_gw_v", "_gw_member")
+    return own.join(attributes(graph, aggs, "_gw_member"), "_gw_member").groupBy("_gw_v", *[by] * bool(by)).agg(*[p for a in aggs for p in a.partials()])
 
 
 def delta_query(index: DeltaIndex, graph: PropertyGraph, aggs: list[Agg], how: str = "jump", owners: DataFrame | None = None) -> DataFrame:
     """(id, [category,] values). `level`: children take their parents' results, one round per step of the longest parent
-    path. `jump`: every vertex adds what its pointer has gathered and points twice as far, so the rounds are the
-    logarithm of that; the gathered stretches of a path are disjoint, so sums stay exact."""
+    path. `jump`: every vertex gathers what the vertices 0 to RADIX-1 jumps up its parent path have gathered, with jumps
+    RADIX times as long in each round, so the rounds are the logarithm of that; the stretches of a path are disjoint, so sums
+    stay exact. Rounds are joins with stored pointers, chained in one plan."""
     refuse_holistic(aggs)
     by = aggs[0].by
-    keys = ["v"] + [by] * bool(by)
+    keys = ["_gw_v"] + [by] * bool(by)
     merges = [x for a in aggs for x in a.merges()]
     names = [n for a in aggs for n in a.partial_names()]
-    local = materialize(_local(index, graph, aggs), "local")
+    values = _local(index, graph, aggs)
     if how == "jump":
-        values, ptr = local, index.parent.where("pid IS NOT NULL").select("v", F.col("pid").alias("p"))
-        while not ptr.isEmpty():
-            far = ptr.join(values.withColumnRenamed("v", "p"), "p").select(*keys, *names)
-            values = materialize(values.union(far.select(values.columns)).groupBy(*keys).agg(*merges), "values")
-            ptr = materialize(ptr.join(ptr.toDF("p", "_next"), "p").select("v", F.col("_next").alias("p")), "pointers")
+        for i, jumps in enumerate(index.pointers()):
+            if i and i % CHAIN == 0:
+                values = materialize(values, "values")
+            steps = jumps.select(F.col("v").alias("_gw_to"), F.col("p").alias("_gw_v"))
+            values = steps.join(values, "_gw_v").drop("_gw_v").withColumnRenamed("_gw_to", "_gw_v").groupBy(*keys).agg(*merges)
     elif how == "level":
-        pid = index.parent.select("v", "pid")
-        ready = materialize(pid.where("pid IS NULL").select("v").join(local, "v", "left").select(local.columns), "ready")
-        waiting = pid.where("pid IS NOT NULL")
+        local = materialize(values, "local")
+        pid = index.parent.select(F.col("v").alias("_gw_v"), F.col("pid").alias("_gw_pid"))
+        ready = materialize(pid.where("_gw_pid IS NULL").select("_gw_v").join(local, "_gw_v", "left").select(local.columns), "ready")
+        waiting = pid.where("_gw_pid IS NOT NULL")
         done, front = ready, ready
         while True:
-            now = waiting.join(front.select(F.col("v").alias("pid")).distinct(), "pid", "left_semi")
-            inherited = now.join(front.withColumnRenamed("v", "pid"), "pid").select(*keys, *names)
-            own = local.join(now.select("v"), "v", "left_semi").select(*keys, *names)
+            now = waiting.join(front.select(F.col("_gw_v").alias("_gw_pid")).distinct(), "_gw_pid", "left_semi")
+            inherited = now.join(front.withColumnRenamed("_gw_v", "_gw_pid"), "_gw_pid").select(*keys, *names)
+            own = local.join(now.select("_gw_v"), "_gw_v", "left_semi").select(*keys, *names)
             front = materialize(own.union(inherited).groupBy(*keys).agg(*merges), "front")
             if front.isEmpty():
                 break
@@ -123,8 +157,8 @@ def delta_query(index: DeltaIndex, graph: PropertyGraph, aggs: list[Agg], how: s
     else:
         raise ValueError(f"unknown order {how}")
     if owners is not None:
-        values = values.join(owners.select(F.col("owner").alias("v")).distinct(), "v", "left_semi")
-    out = values.select(F.col("v").alias("id"), *[by] * bool(by), *[a.final() for a in aggs])
+        values = values.join(owners.select(F.col("owner").alias("_gw_v")).distinct(), "_gw_v", "left_semi")
+    out = values.select(F.col("_gw_v").alias("id"), *[by] * bool(by), *[a.final() for a in aggs])
     return out if by else with_all_owners(graph, out, aggs, owners)
 
 

@@ -11,6 +11,10 @@ from graphwin.session import discard, materialize
 #: Rounds that one lazy plan may chain before it is cut.
 CHAIN = 3
 MAX_DOUBLINGS = 40
+#: From this many edges a vertex a DAG is wide: most ancestors are few steps away, over many paths, and stepping costs
+#: each window its edges once, where doubling would meet it over every middle of every path.
+WIDE = 3.0
+RELAX_CHAIN = 6
 
 
 def khop_pairs(graph: PropertyGraph, w: KHop, owners: DataFrame | None = None) -> DataFrame:
@@ -57,21 +61,54 @@ def ancestor_pairs(graph: PropertyGraph, direction: str = "ancestors", owners: D
     raise RuntimeError("closure did not end")
 
 
+def is_wide(graph: PropertyGraph) -> bool:
+    return graph.edges.count() >= WIDE * max(1, graph.vertices.count())
+
+
+def frontier_pairs(graph: PropertyGraph, direction: str = "ancestors") -> DataFrame:
+    """(owner, member, dist) over proper ancestors, dist the shortest path: one step a round, for wide DAGs."""
+    e = graph.edges.select("src", "dst").distinct()
+    step = e.select(F.col("dst").alias("owner"), F.col("src").alias("member")) if direction == "ancestors" else e.select(F.col("src").alias("owner"), F.col("dst").alias("member"))
+    return _ancestors_from(step, e.select(F.col("src").alias("owner")).union(e.select("dst")))
+
+
 def _ancestors_from(step: DataFrame, owners: DataFrame) -> DataFrame:
-    """Breadth-first from a set of owners, for updates that touch few vertices; dist is the shortest path."""
-    step = materialize(step, "steps")
-    frontier = owners.select("owner").distinct().withColumn("member", F.col("owner"))
-    seen = materialize(frontier.withColumn("dist", F.lit(0)), "reached")
-    frontier = seen
-    depth = 0
+    """Breadth-first from a set of owners; dist is the shortest path. Each round writes only the pairs that are new."""
+    spark = step.sparkSession
+    step = materialize(step.toDF("_at", "_to"), "steps")
+    frontier = materialize(owners.select("owner").distinct().select("owner", F.col("owner").alias("member"), F.lit(0).alias("dist")), "reached")
+    paths, depth = [frontier.shared_path], 0
     while True:
         depth += 1
-        nxt = frontier.select("owner", F.col("member").alias("_at")).join(step.toDF("_at", "_to"), "_at").select("owner", F.col("_to").alias("member")).distinct()
-        frontier = materialize(nxt.join(seen, ["owner", "member"], "left_anti").withColumn("dist", F.lit(depth)), "frontier")
-        if frontier.isEmpty():
+        nxt = frontier.select("owner", F.col("member").alias("_at")).join(step, "_at").select("owner", F.col("_to").alias("member")).distinct()
+        seen = spark.read.schema(frontier.schema).parquet(*paths)
+        fresh = nxt.join(seen.where("dist > 0").select("owner", "member"), ["owner", "member"], "left_anti").withColumn("dist", F.lit(depth))
+        frontier = materialize(fresh, "reached")
+        some = frontier.agg(F.count("*").alias("n"), F.count_if(F.col("owner") == F.col("member")).alias("cycles")).first()
+        if some["cycles"]:
+            raise CycleError("the graph has a cycle")
+        if not some["n"]:
             break
-        seen = materialize(seen.union(frontier), "reached")
-    return seen.where("owner <> member")
+        paths.append(frontier.shared_path)
+    return spark.read.schema(frontier.schema).parquet(*paths).where("dist > 0")
+
+
+def levels_by_relaxing(graph: PropertyGraph) -> DataFrame:
+    """(id, level), the longest path from a source, by rounds over vertices and edges alone, several in one plan. For an
+    acyclic graph."""
+    e = materialize(graph.edges.select("src", "dst").distinct(), "edges")
+    now, total = materialize(graph.vertices.select("id", F.lit(0).alias("level")).distinct(), "levels"), -1
+    while True:
+        after = now
+        for _ in range(RELAX_CHAIN):
+            up = e.join(after, e["src"] == after["id"]).select(F.col("dst").alias("id"), (F.col("level") + 1).alias("level"))
+            after = up.union(now).groupBy("id").agg(F.max("level").alias("level"))
+        after = materialize(after, "levels")
+        before, total = total, after.agg(F.sum(F.col("level").cast("long"))).first()[0] or 0
+        discard(now)
+        now = after
+        if total == before:
+            return now
 
 
 def ancestor_windows_by_level(graph: PropertyGraph, levels: DataFrame) -> DataFrame:
@@ -125,7 +162,7 @@ def window_pairs(graph: PropertyGraph, w: KHop | Topological, owners: DataFrame
     """(owner, member), distinct, whatever the window."""
     if isinstance(w, KHop):
         return khop_pairs(graph, w, owners)
-    pairs = ancestor_pairs(graph, w.direction, owners).select("owner", "member")
+    pairs = (frontier_pairs(graph, w.direction) if owners is None and is_wide(graph) else ancestor_pairs(graph, w.direction, owners)).select("owner", "member")
     if not w.include_self:
         return pairs
     own = graph.vertices.select(F.col("id").alias("owner")) if owners is None else owners.select("owner").distinct()
