@@ -6,6 +6,7 @@ from dataclasses import asdict, dataclass
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from graphwin.functions.aggregates import Agg
 from graphwin.model import KHop, PropertyGraph, Topological
@@ -42,13 +43,16 @@ def window_volume(graph: PropertyGraph, window: KHop | Topological, exact: bool
 
 
 def sampled_sharing(graph: PropertyGraph, window: KHop, sample: int = SAMPLE_OWNERS) -> float:
-    """Additions of a block index over those of direct evaluation, on whole clusters of a bounded sample of owners."""
+    """Additions of a block index over those of direct evaluation, on whole clusters: those with the smallest hashes, as many
+    as hold the wanted number of owners (the first one whole, however large)."""
     from graphwin.operators.blockindex import build_from_pairs, cluster_full
     from graphwin.operators.reach import window_pairs
 
     clusters = cluster_full(graph, window)
-    few = clusters.select("cluster").distinct().orderBy(F.xxhash64("cluster")).limit(max(1, sample // 4))
-    own = clusters.join(few, "cluster", "left_semi").limit(sample)
+    sizes = clusters.groupBy("cluster").agg(F.count("*").alias("n")).orderBy(F.xxhash64("cluster"), "cluster").limit(sample)
+    before = F.coalesce(F.sum("n").over(Window.orderBy(F.xxhash64("cluster"), "cluster").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    few = sizes.withColumn("_before", before).where(F.col("_before") < sample)
+    own = clusters.join(few.select("cluster"), "cluster", "left_semi")
     pairs = window_pairs(graph, window, own.select("owner"))
     members, links, _ = build_from_pairs(pairs, own)
     p, k, blocks = pairs.count(), links.count(), members.select("block_id").distinct().count()
