@@ -170,16 +170,18 @@ def dialogue(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     return PropertyGraph(c.select(node.alias("id"), F.length("text").cast("long").alias("chars"), "role"), e, True, "dialogue")
 
 
-def lineage(spark: SparkSession, sf_dir: str, priority: str | None = None, status: str | None = None) -> PropertyGraph:
+def lineage(spark: SparkSession, sf_dir: str, priority: str | None = None, status: str | None = None, each_priority: bool = False) -> PropertyGraph:
     """An order to the customer's next, and to the next with the same part, of all orders or those of one priority or
-    status: deep, with windows that grow with the square of the orders kept."""
+    status: deep, with windows that grow with the square of the orders kept. each_priority: all orders, each in the lineage of
+    its own priority, so the graph is that of every priority side by side."""
     o = table(spark, sf_dir, "orders").select("o_orderkey", "o_custkey", "o_orderdate", "o_totalprice", "o_orderstatus", "o_orderpriority")
     if priority:
         o = o.where(F.col("o_orderpriority") == priority)
     if status:
         o = o.where(F.col("o_orderstatus") == status)
     parts = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey").distinct().join(o, F.col("l_orderkey") == F.col("o_orderkey"))
-    a, b = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey"), Window.partitionBy("l_partkey").orderBy("o_orderdate", "o_orderkey")
+    side = ["o_orderpriority"] * each_priority
+    a, b = Window.partitionBy("o_custkey", *side).orderBy("o_orderdate", "o_orderkey"), Window.partitionBy("l_partkey", *side).orderBy("o_orderdate", "o_orderkey")
     e = o.select(F.lag("o_orderkey").over(a).alias("src"), F.col("o_orderkey").alias("dst")).union(parts.select(F.lag("o_orderkey").over(b), "o_orderkey"))
     return PropertyGraph(o.select(F.col("o_orderkey").alias("id"), cents("o_totalprice").alias("cents"), "o_orderstatus"), e.where("src IS NOT NULL").distinct(), True, "lineage")
 
