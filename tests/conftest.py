@@ -1,6 +1,7 @@
 import sys
 from pathlib import Path
 
+import numpy as np
 import pandas as pd
 import pytest
 
@@ -38,15 +39,24 @@ def duck(tiny_dir):
     return con
 
 
-def normal(pdf):
-    """Rows as sorted text, columns by name, whole floats as they are."""
-    pdf = pdf[sorted(pdf.columns)]
+def normal(frame):
+    """Rows as sorted text, columns by name. Spark and DuckDB results are read as Python values: pandas would turn whole
+    numbers beside nulls into floats."""
+    if hasattr(frame, "collect"):
+        names, rows = frame.columns, [tuple(r) for r in frame.collect()]
+    elif hasattr(frame, "fetchall"):
+        names, rows = [c[0] for c in frame.description], frame.fetchall()
+    else:
+        names, rows = list(frame.columns), frame.astype(object).itertuples(index=False, name=None)
+    order = sorted(range(len(names)), key=lambda k: names[k])
 
     def cell(v):
         if pd.api.types.is_scalar(v) and pd.isna(v):
             return None
-        if isinstance(v, float):
-            return round(v, 9)
+        if isinstance(v, (float, np.floating)):
+            return round(float(v), 9)
+        if isinstance(v, (list, tuple, np.ndarray)):
+            return [cell(x) for x in v]
         return int(v) if type(v).__name__.startswith(("int", "uint")) else v
 
-    return sorted(repr(tuple(map(cell, row))) for row in pdf.astype(object).itertuples(index=False, name=None))
+    return [[names[k] for k in order], *sorted(repr(tuple(cell(row[k]) for k in order)) for row in rows)]
