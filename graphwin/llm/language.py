@@ -24,9 +24,12 @@ from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
 from graphwin.llm.tokens import small_batches
+from graphwin.session import materialize
 
 BITS = 13
 DIM = 1 << BITS
+#: Labels are broadcast to the texts up to this many; beyond, texts are dealt by label.
+BROADCAST_LABELS = 10_000
 UND = "und"
 LETTER = regex.compile(r"\p{L}")
 _BLANK = bytes(c if c >= 128 or chr(c).isalpha() else 32 for c in range(256))
@@ -130,6 +133,9 @@ def training_texts(docs: DataFrame, trainable: Column, per_language: int = 300,
     estimated number of distinct hashes leaves a few times as many as needed before any row is ranked."""
     rows = docs.where(trainable & F.col(label_col).isNotNull() & F.col(text_col).rlike(r"\p{L}")).select(F.col(label_col).cast("string").alias("label"), F.col(text_col).cast("string").alias("text"), F.xxhash64(F.lit(11), id_col, text_col).alias("h"))
     share = rows.groupBy("label").agg(F.approx_count_distinct("h").alias("n")).select(F.col("label").alias("_label"), ((2.0 * per_language + 50) / F.col("n")).alias("share"))
+    share = materialize(share, "label-shares")  # a row a label
+    if share.count() <= BROADCAST_LABELS:
+        share = F.broadcast(share)
     near = rows.join(share, F.col("label") == F.col("_label")).where(F.pmod("h", F.lit(1 << 40)) < F.col("share") * float(1 << 40)).groupBy("label", "h").agg(F.first("text").alias("text"))
     return near.withColumn("_r", F.row_number().over(Window.partitionBy("label").orderBy(F.pmod("h", F.lit(1 << 40)), "h"))).where(F.col("_r") <= per_language).select("label", "text", "h")
 
