@@ -28,6 +28,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from graphwin.llm.tokens import small_batches
+from graphwin.llm.words import LOWER, UPPER
 from graphwin.operators.components import connected_components
 from graphwin.session import materialize
 
@@ -301,3 +302,16 @@ def drop_near_duplicates(docs: DataFrame, percent: int = PERCENT, id_col: str =
     once = chosen.where("times = 1").select("_doc")
     repeated = chosen.where("times > 1").dropDuplicates(["_id", "_text"]).select("_doc")
     return held.where(~F.col("_has_words")).select("_doc").union(once).union(repeated).select("_doc.*")
+
+
+ORACLE = rf"""
+WITH RECURSIVE d AS (SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), '{UPPER}', '{LOWER}'), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w FROM documents),
+s AS (SELECT DISTINCT doc_id, array_to_string(w[i : i + {SHINGLE - 1}], ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, greatest(len(w) - {SHINGLE - 1}, 1) + 1)) AS i FROM d WHERE len(w) > 0)),
+n AS (SELECT doc_id, count(*) AS n FROM s GROUP BY doc_id),
+p AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS shared FROM s a JOIN s b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY ALL),
+l AS (SELECT a, b FROM p JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * shared >= {PERCENT} * (x.n + y.n - shared)),
+r AS (SELECT a, b FROM (SELECT a, b FROM l UNION ALL SELECT b, a FROM l) UNION SELECT r.a, z.b FROM r JOIN (SELECT a, b FROM l UNION ALL SELECT b, a FROM l) z ON r.b = z.a),
+c AS (SELECT a AS doc_id, min(b) AS low FROM r GROUP BY a)
+SELECT doc_id, CAST(coalesce(n, 0) AS BIGINT) AS n_shingles, least(doc_id, coalesce(low, doc_id)) AS component_id, doc_id <= coalesce(low, doc_id) AS kept
+FROM d LEFT JOIN n USING (doc_id) LEFT JOIN c USING (doc_id)
+"""

@@ -65,4 +65,4 @@ def op4_wrapper_induction(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {f.__name__: f for f in (op1_family_then_pairs_language, op2_sum_of_squares_packing, op3_bbit_minhash_neardup, op4_wrapper_induction, op5_weighted_tree_sharding, op6_token_length_histogram, op7_host_shrunk_quality, op8_offset_masked_chat, op9_prefix_filtered_decontamination, op10_rare_token_licenses)}
-ORACLES: dict[str, str] = {"op7_host_shrunk_quality": quality.ORACLE, "op9_prefix_filtered_decontamination": decontaminate.ORACLE, "op10_rare_token_licenses": licenses.oracle()}
+ORACLES: dict[str, str] = {"op3_bbit_minhash_neardup": neardup.ORACLE, "op8_offset_masked_chat": chat.oracle(), "op7_host_shrunk_quality": quality.ORACLE, "op9_prefix_filtered_decontamination": decontaminate.ORACLE, "op10_rare_token_licenses": licenses.oracle()}
