@@ -82,12 +82,20 @@ def cluster_estimated(graph: PropertyGraph, window: KHop, m: int = 1, k_prime: i
     return cluster_full(graph, shorter, m, seed, family, explicit)
 
 
-def split_clusters(clusters: DataFrame, sizes: DataFrame, max_pairs: int) -> DataFrame:
+def split_clusters(clusters: DataFrame, sizes: DataFrame, max_pairs: int, max_depth: int = 40) -> DataFrame:
     """Clusters whose windows hold more than max_pairs pairs fall into that many equal parts as needed, by a hash of the
-    owner: no cluster is sorted or gathered. sizes: (owner, n)."""
-    weight = clusters.join(sizes, "owner").groupBy("cluster").agg(F.ceil(F.sum("n") / max_pairs).alias("_parts"))
-    part = F.pmod(F.xxhash64(F.lit(3), "owner"), F.col("_parts"))
-    return clusters.join(weight, "cluster").select("owner", F.when(F.col("_parts") > 1, F.xxhash64("cluster", part)).otherwise(F.col("cluster")).alias("cluster"))
+    owner, and parts that still hold more fall apart again, until every part fits or is one owner: no cluster is sorted or
+    gathered. sizes: (owner, n)."""
+    now = clusters.join(sizes, "owner").select("owner", "cluster", "n")
+    for depth in range(max_depth):
+        large = now.groupBy("cluster").agg(F.sum("n").alias("_pairs"), F.count("*").alias("_owners")).where((F.col("_pairs") > max_pairs) & (F.col("_owners") > 1))
+        large = large.select("cluster", F.least(F.ceil(F.col("_pairs") / max_pairs), F.col("_owners")).alias("_parts"))
+        if large.isEmpty():
+            break
+        part = F.pmod(F.xxhash64(F.lit(3 + depth), "owner"), F.col("_parts"))
+        split = F.when(F.col("_parts").isNotNull(), F.xxhash64(F.lit(depth), "cluster", part)).otherwise(F.col("cluster"))
+        now = materialize(now.join(large, "cluster", "left").select("owner", split.alias("cluster"), "n"), "split")
+    return now.select("owner", "cluster")
 
 
 # -- build -------------------------------------------------------------------------------------------------------------

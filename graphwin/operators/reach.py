@@ -93,11 +93,11 @@ def _ancestors_from(step: DataFrame, owners: DataFrame) -> DataFrame:
     return spark.read.schema(frontier.schema).parquet(*paths).where("dist > 0")
 
 
-def levels_by_relaxing(graph: PropertyGraph) -> DataFrame:
+def levels_by_relaxing(graph: PropertyGraph, base: DataFrame | None = None) -> DataFrame:
     """(id, level), the longest path from a source, by rounds over vertices and edges alone, several in one plan. For an
-    acyclic graph."""
+    acyclic graph. base: (id, level) to begin with where paths come in from outside."""
     e = materialize(graph.edges.select("src", "dst").distinct(), "edges")
-    now, total = materialize(graph.vertices.select("id", F.lit(0).alias("level")).distinct(), "levels"), -1
+    now, total = materialize(graph.vertices.select("id", F.lit(0).alias("level")).distinct() if base is None else base, "levels"), -1
     while True:
         after = now
         for _ in range(RELAX_CHAIN):

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from graphwin.model import CycleError, KHop, PropertyGraph
 from graphwin.operators.blockindex import BlockIndex, build_block_index, build_from_pairs, clusters_of, signature_explicit
 from graphwin.operators.deltaindex import DeltaIndex, closest_parent, window_delta
-from graphwin.operators.reach import ancestor_pairs, window_pairs
+from graphwin.operators.reach import ancestor_pairs, levels_by_relaxing, window_pairs
 from graphwin.session import materialize
 
 
@@ -112,53 +112,78 @@ def insert_edge(index: DeltaIndex, graph: PropertyGraph, s: int, t: int) -> tupl
         raise CycleError(f"{s} -> {t} closes a cycle")
     spark = graph.vertices.sparkSession
     below, ws = _set(graph, t, "descendants").toDF("v"), _set(graph, s, "ancestors")
-    parent = index.parent
-    affected = parent.join(below, "v", "left_semi").select("v", "pid")
+    touched = materialize(index.parent.join(below, "v", "left_semi").select("v", "pid"), "touched")
     source = F.col("pid").isNull()  # only t itself can be one
-    grows = materialize(affected.where(~source).join(below.toDF("pid"), "pid", "left_semi").select("v"), "grows")
-    stays = materialize(affected.where(~source).join(below.toDF("pid"), "pid", "left_anti").select("v", "pid"), "stays")
+    grows = materialize(touched.where(~source).join(below.toDF("pid"), "pid", "left_semi").select("v"), "grows")
+    stays = materialize(touched.where(~source).join(below.toDF("pid"), "pid", "left_anti").select("v", "pid"), "stays")
     theirs = ancestor_pairs(graph, "ancestors", stays.select(F.col("pid").alias("owner"))).select(F.col("owner").alias("pid"), "member")
     theirs = theirs.union(stays.select("pid", F.col("pid").alias("member")).distinct())
-    more = stays.crossJoin(F.broadcast(ws)).join(theirs, ["pid", "member"], "left_anti").select("v", "member") if _small(ws) else stays.join(ws).join(theirs, ["pid", "member"], "left_anti").select("v", "member")
-    less = grows.join(ws)
-    delta = index.delta.join(less, ["v", "member"], "left_anti").select("v", "member").union(more).distinct()
+    more = stays.join(_beside(ws)).join(theirs, ["pid", "member"], "left_anti").select("v", "member")
+    less = grows.join(_beside(ws))
+    delta = materialize(index.delta.join(less, ["v", "member"], "left_anti").select("v", "member").union(more).distinct(), "pd_delta")
     e = graph.edges.select("src", "dst").union(spark.range(1).select(F.lit(s).cast("long"), F.lit(t).cast("long"))).distinct()
     after = PropertyGraph(graph.vertices, materialize(e, "edges"), True, graph.name)
-    first_parent = F.when((F.col("v") == t) & F.col("pid").isNull(), F.lit(s).cast("long")).otherwise(F.col("pid"))
-    return _refreshed(parent.select("v", first_parent.alias("pid")), materialize(delta, "pd_delta"), after, index), after
+    first_parent = F.when((F.col("v") == t) & source, F.lit(s).cast("long")).otherwise(F.col("pid"))
+    rows = materialize(touched.select("v", first_parent.alias("pid")), "touched")
+    return _patched(index, after, rows, _sizes_along(rows, delta, index.parent), delta), after
 
 
-def _small(df: DataFrame, limit: int = 1_000_000) -> bool:
-    """One vertex's ancestors: broadcast if few."""
-    return df.limit(limit + 1).count() <= limit
+def _beside(members: DataFrame, limit: int = 1_000_000) -> DataFrame:
+    """One vertex's ancestors, to stand beside rows that all gain or lose from them: broadcast if few."""
+    return F.broadcast(members) if members.limit(limit + 1).count() <= limit else members
 
 
 def delete_edge(index: DeltaIndex, graph: PropertyGraph, s: int, t: int) -> tuple[DeltaIndex, PropertyGraph]:
-    """Members of W(s) that no longer reach t or a descendant leave; deltas of the touched vertices follow from the new
-    windows, against the same parent, or the closest remaining one if the edge to the parent itself went."""
+    """W(v) loses the members of W(s) that no longer reach v, for t and its descendants; only paths between the two are
+    walked. With parents kept, a delta drops what its vertex loses and takes what the parent alone loses. If the edge to t's
+    own parent went, t takes the closest of the others, and its delta is formed against that."""
+    known = graph.edges.select("src", "dst").where((F.col("src") == s) & (F.col("dst") == t))
+    if known.isEmpty():
+        return index, graph
     e = materialize(graph.edges.select("src", "dst").where(~((F.col("src") == s) & (F.col("dst") == t))), "edges")
     after = PropertyGraph(graph.vertices, e, True, graph.name)
-    below = _set(graph, t, "descendants").toDF("v")
-    touched = materialize(index.parent.join(below, "v", "left_semi"), "touched")
-    need = touched.select(F.col("v").alias("owner")).union(touched.where("pid IS NOT NULL").select("pid")).union(e.where(F.col("dst") == t).select("src")).distinct()
-    closure = materialize(ancestor_pairs(after, "ancestors", need).select("owner", "member"), "closure")
-    card = need.join(closure.groupBy("owner").agg(F.count("*").alias("n")), "owner", "left").select(F.col("owner").alias("v"), (F.coalesce("n", F.lit(0)) + 1).alias("card"))
-    again = closest_parent(PropertyGraph(graph.vertices, e.where(F.col("dst") == t), True), card)
-    lost = (F.col("v") == t) & (F.col("pid") == s)
-    parent = index.parent.select("v", "pid").join(again.withColumnRenamed("pid", "_again"), "v", "left").select("v", F.when(lost, F.col("_again")).otherwise(F.col("pid")).alias("pid"))
-    parent = materialize(parent, "parent")
-    fresh = window_delta(closure, parent.join(below, "v", "left_semi"))
-    delta = index.delta.join(below, "v", "left_anti").select("v", "member").union(fresh)
-    return _refreshed(parent, materialize(delta, "pd_delta"), after, index), after
-
-
-def _refreshed(parent: DataFrame, delta: DataFrame, graph: PropertyGraph, index: DeltaIndex) -> DeltaIndex:
-    """Levels and cardinalities of the index kept in step: |W(v)| is |W(pid)| + |delta(v)| + 1, summed along the path."""
-    own = parent.join(delta.groupBy("v").agg(F.count("*").alias("d")), "v", "left").select("v", "pid", (F.coalesce("d", F.lit(0)) + 1).alias("d"))
-    path = ancestor_pairs(PropertyGraph(parent.select(F.col("v").alias("id")), parent.where("pid IS NOT NULL").select(F.col("pid").alias("src"), F.col("v").alias("dst")), True)).select("owner", "member")
-    up = path.join(own.select(F.col("v").alias("member"), "d"), "member").groupBy(F.col("owner").alias("v")).agg(F.sum("d").alias("above"))
-    card = own.join(up, "v", "left").select("v", "pid", F.lit(None).cast("int").alias("level"), (F.col("d") + F.coalesce("above", F.lit(0))).cast("long").alias("card"))
-    return DeltaIndex(materialize(card, "pd_parent"), delta, index.stats)
+    below, ws = _set(graph, t, "descendants"), _set(graph, s, "ancestors")
+    touched = materialize(index.parent.join(below.toDF("v"), "v", "left_semi"), "touched")
+    between = materialize(_reached(e, ws.toDF("id"), "descendants").join(_reached(e, below.toDF("id"), "ancestors"), "id", "left_semi"), "between")
+    inner = PropertyGraph(between, materialize(e.join(between.toDF("src"), "src", "left_semi").join(between.toDF("dst"), "dst", "left_semi").select("src", "dst"), "edges"), True)
+    still = ancestor_pairs(inner, "ancestors", below.toDF("owner")).select(F.col("owner").alias("v"), "member")
+    lost = materialize(below.toDF("v").join(_beside(ws)).join(still, ["v", "member"], "left_anti").select("v", "member"), "lost")
+
+    card = touched.join(lost.groupBy("v").agg(F.count("*").alias("n")), "v", "left").select("v", (F.col("card") - F.coalesce("n", F.lit(0))).alias("card"))
+    dropped = index.delta.join(lost, ["v", "member"], "left_anti").select("v", "member")
+    taken = touched.select("v", "pid").join(lost.toDF("pid", "member"), "pid").select("v", "member").join(lost, ["v", "member"], "left_anti")
+    delta, rows = dropped.union(taken.select("v", "member")), touched.select("v", "pid")
+    if not touched.where((F.col("v") == t) & (F.col("pid") == s)).isEmpty():
+        again = closest_parent(PropertyGraph(graph.vertices, e.where(F.col("dst") == t), True), index.parent.select("v", "card"))
+        rows = materialize(rows.join(again.withColumnRenamed("pid", "_again"), "v", "left").select("v", F.when(F.col("v") == t, F.col("_again")).otherwise(F.col("pid")).alias("pid")), "touched")
+        own = materialize(rows.where(F.col("v") == t), "own")
+        two = ancestor_pairs(after, "ancestors", own.select(F.col("v").alias("owner")).union(own.where("pid IS NOT NULL").select("pid")))
+        delta = delta.where(F.col("v") != t).union(window_delta(two.select("owner", "member"), own))
+    return _patched(index, after, rows, card, materialize(delta, "pd_delta")), after
+
+
+def _sizes_along(rows: DataFrame, delta: DataFrame, parent: DataFrame) -> DataFrame:
+    """(v, card) of touched rows (v, pid): |W(v)| is |W(pid)| + |delta(v)| + 1, summed along the touched part of the parent
+    path; where that leaves the touched vertices, the size known there is added."""
+    ids = rows.select(F.col("v").alias("id"))
+    own = rows.join(delta.join(rows.select("v"), "v", "left_semi").groupBy("v").agg(F.count("*").alias("d")), "v", "left")
+    outside = parent.join(rows.select("v"), "v", "left_anti").select(F.col("v").alias("pid"), "card")
+    own = materialize(own.join(outside, "pid", "left").select("v", (F.coalesce("d", F.lit(0)) + 1 + F.coalesce("card", F.lit(0))).alias("d")), "sizes")
+    forest = rows.join(ids.toDF("pid"), "pid", "left_semi").select(F.col("pid").alias("src"), F.col("v").alias("dst"))
+    path = ancestor_pairs(PropertyGraph(ids, forest, True)).select("owner", "member").union(ids.select("id", "id"))
+    return path.join(own.withColumnRenamed("v", "member"), "member").groupBy(F.col("owner").alias("v")).agg(F.sum("d").alias("card"))
+
+
+def _patched(index: DeltaIndex, after: PropertyGraph, rows: DataFrame, card: DataFrame, delta: DataFrame) -> DeltaIndex:
+    """The index with new parents and sizes of the touched rows, and their levels found from the levels around them."""
+    here = rows.select("v")
+    kept = index.parent.join(here, "v", "left_anti").select("v", "pid", "level", "card")
+    into = after.edges.join(here.toDF("dst"), "dst", "left_semi")
+    above = into.join(kept.select(F.col("v").alias("src"), "level"), "src").groupBy(F.col("dst").alias("v")).agg((F.max("level") + 1).alias("level"))
+    base = here.join(above, "v", "left").select(F.col("v").alias("id"), F.coalesce("level", F.lit(0)).alias("level"))
+    levels = levels_by_relaxing(PropertyGraph(base, into.join(here.toDF("src"), "src", "left_semi"), True), base)
+    anew = rows.join(levels.withColumnRenamed("id", "v"), "v").join(card, "v").select("v", "pid", F.col("level").cast("int").alias("level"), F.col("card").cast("long").alias("card"))
+    return DeltaIndex(materialize(kept.union(anew), "pd_parent"), delta, index.stats)
 
 
 def update_delta_index(index: DeltaIndex, graph: PropertyGraph, changes: list[tuple[str, int, int]], repick: bool = False) -> tuple[DeltaIndex, PropertyGraph]:
@@ -206,8 +231,8 @@ def add_isolated(index: DeltaIndex, graph: PropertyGraph, vertices: DataFrame) -
 
 
 def remove_vertex(index: DeltaIndex, graph: PropertyGraph, v: int) -> tuple[DeltaIndex, PropertyGraph]:
-    """Edges first, one by one (a vertex's own edges), then the row."""
-    own = graph.edges.where((F.col("src") == v) | (F.col("dst") == v)).select("src", "dst").collect()
-    index, graph = update_delta_index(index, graph, [("-", r["src"], r["dst"]) for r in own])
+    """Its edges first, as one batch, then the row."""
+    own = graph.edges.where((F.col("src") == v) | (F.col("dst") == v)).select(F.lit("-").alias("op"), "src", "dst")
+    index, graph = update_delta_batch(index, graph, materialize(own, "changes"))
     keep = F.col("v") != v
     return DeltaIndex(index.parent.where(keep), index.delta.where(keep), index.stats), PropertyGraph(graph.vertices.where(F.col("id") != v), graph.edges, True, graph.name)

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from graphwin.functions.aggregates import FUNCTIONS, Agg
 from graphwin.model import CycleError, HolisticAggregateError, KHop, Topological, VertexWindowFunction, VertexWindowQuery
 from graphwin.operators import updates
-from graphwin.operators.blockindex import BlockIndex, block_query, build_block_index, check_cover, cluster_estimated, expand_index, jaccard_estimate, jaccard_exact, signature_propagated
+from graphwin.operators.blockindex import BlockIndex, block_query, build_block_index, check_cover, cluster_estimated, expand_index, jaccard_estimate, jaccard_exact, signature_propagated, split_clusters
 from graphwin.operators.components import connected_components
 from graphwin.operators.deltaindex import DeltaIndex, build_delta_index, delta_query, expand_delta
 from graphwin.operators.direct import direct
@@ -126,7 +126,8 @@ def test_delta_updates_hit_every_case(spark):
     edges = sorted({tuple(sorted(rnd.sample(range(10), 2))) for _ in range(14)})
     g = literal(spark, edges, vertices=list(range(10)), directed=True)
     ix, now = build_delta_index(g), set(edges)
-    todo = [("+", 0, 9), ("-", *edges[3]), ("+", 2, 7), ("-", *edges[0])]
+    of_parent = next((r["pid"], r["v"]) for r in ix.parent.orderBy(F.desc("v")).collect() if r["pid"] is not None)
+    todo = [("+", 0, 9), ("-", *edges[3]), ("+", 2, 7), ("-", *edges[0]), ("-", *of_parent)]
     for op, s, t in todo:
         if (op == "+") == ((s, t) in now):
             continue
@@ -135,10 +136,45 @@ def test_delta_updates_hit_every_case(spark):
         up = {v: {v} | {a for a in range(10) if v in reach(now, a, 10, True)} for v in range(10)}
         assert pairs(expand_delta(ix)) == {(v, a) for v in up for a in up[v]}, (op, s, t)
         assert {r["v"]: r["card"] for r in ix.parent.collect()} == {v: len(up[v]) for v in up}
+        deep = {}
+        for v in range(10):  # edges go from lower to higher ids
+            deep[v] = max((deep[a] + 1 for a, b in now if b == v), default=0)
+        assert {r["v"]: r["level"] for r in ix.parent.collect()} == deep, (op, s, t)
     ix, g = updates.update_delta_index(ix, g, [], repick=True)
     assert pairs(expand_delta(ix)) == {(v, a) for v in up for a in up[v]}
 
 
+def test_delta_vertices_come_and_go(spark):
+    edges = [(0, 1), (1, 2), (0, 3), (3, 2), (2, 4), (1, 5)]
+    g = literal(spark, edges, directed=True)
+    ix, g = updates.add_isolated(build_delta_index(g), g, spark.createDataFrame([(7,), (2,)], "id long"))
+    assert {r["v"]: (r["pid"], r["level"], r["card"]) for r in ix.parent.where("v = 7").collect()} == {7: (None, 0, 1)}
+    ix, g = updates.remove_vertex(ix, g, 2)
+    assert pairs(expand_delta(ix)) == {(v, v) for v in (0, 1, 3, 4, 5, 7)} | {(1, 0), (3, 0), (5, 1), (5, 0)}
+    assert pairs(g.edges.select("src", "dst").toDF("owner", "member")) == {(0, 1), (0, 3), (1, 5)}
+
+
+def test_large_clusters_fall_apart_until_they_fit(spark):
+    clusters = spark.range(200).select(F.col("id").alias("owner"), (F.col("id") % 2).alias("cluster"))
+    sizes = spark.range(200).select(F.col("id").alias("owner"), F.when(F.col("id") == 0, 500).otherwise(10).alias("n"))
+    got = split_clusters(clusters, sizes, 100)
+    parts = got.join(sizes, "owner").groupBy("cluster").agg(F.sum("n").alias("n"), F.count("*").alias("owners")).collect()
+    assert got.count() == 200 and all(r["n"] <= 100 or r["owners"] == 1 for r in parts)
+    assert len(parts) >= 21
+
+
+def test_bucketed_index(spark, tmp_path):
+    ix = build_block_index(literal(spark, [(0, 1), (1, 2), (2, 3)]), KHop(1))
+    ix.save_bucketed("gw_test_bucketed", 4)
+    members, links = spark.table("gw_test_bucketed_members"), spark.table("gw_test_bucketed_links")
+    try:
+        assert pairs(links.join(members, "block_id").select("owner", "member")) == pairs(expand_index(ix).select("owner", "member"))
+        assert members.exceptAll(ix.members.select(members.columns)).isEmpty()
+    finally:
+        for name in ("members", "links", "nodes"):
+            spark.sql(f"DROP TABLE gw_test_bucketed_{name}")
+
+
 def test_block_updates_and_vertices(spark):
     edges = [(0, 1), (1, 2), (2, 3), (3, 4), (4, 5), (0, 5), (1, 4)]
     g = literal(spark, edges)
