@@ -225,6 +225,20 @@ def _subset(s, d):
 
 
 _add("khop_owner_subset_copurchase_k2", _subset, _khop(_copurchase_sql(2), 2, True, "SELECT owner AS id, CAST(sum(m.p_size) AS BIGINT) AS sum_size FROM w JOIN v m ON member = m.id JOIN v o ON owner = o.id WHERE o.p_brand = 'Brand#11' GROUP BY 1"))
+
+
+def _subset_block(s, d):
+    g = G.copurchase(s, d, 2)
+    return sb.block_query(sb.build_block_index(g, KHop(2)), g, _size, g.vertices.where("p_brand = 'Brand#11'").select(F.col("id").alias("owner")))
+
+
+def _subset_delta(s, d):
+    g = G.eventbranch(s, d)
+    return pd.delta_query(pd.build_delta_index(g), g, _cents, owners=g.vertices.where("event_type = 'error'").select(F.col("id").alias("owner")))
+
+
+_add("khop_owner_subset_block_copurchase_k2", _subset_block, ORACLES["khop_owner_subset_copurchase_k2"])
+_add("topo_owner_subset_delta_eventbranch", _subset_delta, _topo(_BRANCH_SQL, "SELECT owner AS id, CAST(sum(m.cents) AS BIGINT) AS sum_cents FROM w JOIN v m ON member = m.id JOIN v o ON owner = o.id WHERE o.event_type = 'error' GROUP BY 1"))
 _add("khop_weblinks_k1", _by_strategy(G.weblinks, KHop(1), [Agg("sum", "size", "total")], "direct"), _khop(_WEBLINKS_SQL, 1, False, _sum_body("size", "total")))
 _add("khop_weblinks_k2_both", _by_strategy(G.weblinks, KHop(2, "both"), [Agg("sum", "size", "total")], "mc"), _khop(_WEBLINKS_SQL, 2, False, _sum_body("size", "total"), "both"))
 _add("khop_trade_k2", _by_strategy(G.trade, KHop(2), _cents, "direct"), _khop(_TRADE_SQL, 2, True, _sum_body("cents", "sum_cents")))
@@ -241,7 +255,9 @@ for _name, _build, _window, _gsql, _und, _agg, _alias in (
     ("weblinks_both", G.weblinks, KHop(1, "both"), _WEBLINKS_SQL, False, "size", "total"), ("cosupply", G.cosupply, KHop(1), _COSUPPLY_SQL, True, "cents", "sum_cents"),
 ):
     _add(f"khop_overlay_sum_{_name}_k1", _by_strategy(_build, _window, [Agg("sum", _agg, _alias)], "overlay", iterations=10), _khop(_gsql, 1, _und, _sum_body(_agg, _alias), _window.direction))
-_add("khop_similar_k1", lambda s, d: direct(G.similar(s, d), KHop(1), [Agg("sum", "label", "total")]))
+_SIMILAR_SQL = """v AS (SELECT vec_id AS id, CAST(label AS BIGINT) AS label, CAST(embedding AS DOUBLE[]) AS x FROM embeddings),
+e AS (SELECT a.id AS src, b.id AS dst FROM v a JOIN v b ON a.id < b.id WHERE list_cosine_similarity(a.x, b.x) >= 0.3)"""
+_add("khop_similar_k1", lambda s, d: direct(G.similar(s, d), KHop(1), [Agg("sum", "label", "total")]), _khop(_SIMILAR_SQL, 1, True, _sum_body("label", "total")))
 
 _urgent = lambda s, d: G.lineage(s, d, "1-URGENT")  # noqa: E731  the graph is defined by a priority
 
@@ -307,8 +323,21 @@ def _estimate(s, d):
 
 
 _add("jaccard_estimate_relay_k2", _estimate)
-_add("cluster_full_relay_k2", lambda s, d: sb.cluster_full(G.relay(s, d), KHop(2)))
-_add("cluster_estimated_relay_k2", lambda s, d: sb.cluster_estimated(G.relay(s, d), KHop(2)))
+
+
+def _named_by_least(clusters: DataFrame) -> DataFrame:
+    """(owner, least): clusters by their least owner, as the engine's hash has no counterpart in SQL."""
+    least = clusters.groupBy("cluster").agg(F.min("owner").alias("least"))
+    return clusters.join(least, "cluster").select("owner", "least")
+
+
+def _cluster_sql(k: int) -> str:
+    (a, b), = affine_constants(1)
+    return _khop(_RELAY_SQL.format(filter=""), k, False, f"SELECT owner, min(owner) OVER (PARTITION BY h) AS least FROM (SELECT owner, min(({a} * (member % {PRIME}) + {b}) % {PRIME}) AS h FROM w GROUP BY 1)")
+
+
+_add("cluster_full_relay_k2", lambda s, d: _named_by_least(sb.cluster_full(G.relay(s, d), KHop(2))), _cluster_sql(2))
+_add("cluster_estimated_relay_k2", lambda s, d: _named_by_least(sb.cluster_estimated(G.relay(s, d), KHop(2))), _cluster_sql(1))
 _add("block_stats_copurchase_k2", lambda s, d: measures.block_stats(sb.build_block_index(G.copurchase(s, d, 2), KHop(2))))
 _add("window_volume_copurchase_k2", lambda s, d: window_volume(G.copurchase(s, d, 2), KHop(2), exact=True), _khop(_copurchase_sql(2), 2, True, "SELECT count(*) AS pairs FROM w"))
 _add("window_volume_estimated_copurchase_k2", lambda s, d: window_volume(G.copurchase(s, d, 2), KHop(2)))

@@ -15,7 +15,7 @@ PICKED = [
     "index_cover_mc_copurchase_k2", "index_cover_delta_eventbranch", "delta_parent_eventbranch", "delta_diff_catalog", "minhash_explicit_relay_k2", "minhash_propagated_relay_k2", "jaccard_exact_copurchase_k2",
     "topo_levels_catalog_peeling", "topo_windows_by_level_catalog", "topo_levels_eventbranch", "update_insert_block_copurchase_k2", "update_delete_block_copurchase_k2", "sql_surface_khop", "graph_validate_catalog", "khop_mc_product_copurchase_k1", "khop_mc_var_double_copurchase_k2", "topo_delta_clashing_names",
     "jaccard_growth_copurchase", "expansion_bound_synthrand", "dag_stats_eventbranch", "delta_size_eventbranch", "delta_size_synthdag_d3", "topo_delta_sum_synthdag_d10", "topo_block_sum_synthdag_d3", "delta_ranges_catalog",
-    "khop_mc_sum_synthrand_d80_k1", "khop_overlay_sum_weblinks_both_k1", "khop_emc_sum_copurchase_k4",
+    "khop_mc_sum_synthrand_d80_k1", "khop_overlay_sum_weblinks_both_k1", "khop_emc_sum_copurchase_k4", "khop_similar_k1", "cluster_full_relay_k2", "cluster_estimated_relay_k2", "khop_owner_subset_block_copurchase_k2", "topo_owner_subset_delta_eventbranch",
 ]
 STREAMS = ["st_tumbling", "st_session", "st_dedup", "st_stateful", "st_foreach_batch", "st_modes"]
 
